@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from probsum.llm import quality_rules, simhash_dedup
+from probsum.llm import piece_bpe, quality_rules, simhash_dedup, toxicity
 from probsum.llm.common import table
 
 
@@ -15,6 +15,31 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("failed_rules")
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity score of every document by a model of its sentences, learned outside the held-out fifth."""
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.trained(docs, table(spark, sf_dir, "labels"))
+    return toxicity.scored(docs, model).select(
+        F.col("id").alias("doc_id"),
+        F.expr("crc32(cast(id as string)) % 5 = 0").alias("held_out"),
+        "score",
+        "predicted",
+        "n_sentences",
+        "worst_sentence",
+        "worst_score",
+    )
+
+
+def op6_piece_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Token ids and decoded text of every document, as digests."""
+    import public_tokenizers
+
+    found = piece_bpe.encoded(
+        table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), ids=False
+    )
+    return found.withColumnRenamed("id", "doc_id")
+
+
 def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and group of every document."""
     found = simhash_dedup.near_duplicates(table(spark, sf_dir, "documents"))
@@ -27,6 +52,8 @@ def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
+    "op4_toxicity": op4_toxicity,
+    "op6_piece_bpe": op6_piece_bpe,
     "op7_simhash_dedup": op7_simhash_dedup,
 }
 

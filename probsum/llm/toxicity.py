@@ -1,6 +1,6 @@
 """Toxicity by multiple-instance learning: a document is toxic if at least one of its sentences is.
 
-A sentence scores sigmoid(bias + weights of its words); a document scores by noisy-or,
+A sentence scores sigmoid(bias + weights of its words and word beginnings); a document scores by noisy-or,
 1 - prod(1 - p). Only documents are labelled; the weights are fitted through the noisy-or, so that
 the sentences that explain the label come out of the training.
 """
@@ -28,6 +28,14 @@ def sentences(text: str | None):
             yield m.start(), m.end(), words
 
 
+def clues(words: list[str]) -> set[str]:
+    """Features of a sentence: its words and their beginnings of four and five letters, each once."""
+    out = set(words)
+    out.update(["^" + w[:4] for w in words if len(w) > 4])
+    out.update(["^" + w[:5] for w in words if len(w) > 5])
+    return out
+
+
 @dataclass
 class SentenceModel:
     """Word weights and a bias; at most `features` words, so it is small enough for any closure."""
@@ -38,7 +46,7 @@ class SentenceModel:
     def logits(self, text: str | None) -> np.ndarray:
         get = self.weights
         return self.bias + np.array(
-            [sum(get[w] for w in set(ws) if w in get) for _, _, ws in sentences(text)], dtype=np.float64
+            [sum([get[w] for w in clues(ws) & get.keys()]) for _, _, ws in sentences(text)], dtype=np.float64
         )
 
     def score(self, text: str | None) -> tuple[float, int, int, float]:
@@ -57,16 +65,15 @@ def fit(
 ) -> SentenceModel:
     """Fit the noisy-or model on labelled documents by full-batch gradient steps (Adam).
 
-    Features are the words with the largest chi-squared against the label among those in `least_docs`
+    Features are the words and word beginnings with the largest chi-squared against the label among those in `least_docs`
     or more documents. One class only, or no row, gives a model that calls nothing toxic.
     """
     y = np.array(toxic, dtype=np.int64)
     if not len(y) or y.min() == y.max():
         return SentenceModel()
-    split = [[set(ws) for _, _, ws in sentences(t)] for t in texts]
     seen: tuple[Counter, Counter] = (Counter(), Counter())
-    for ss, label in zip(split, y, strict=True):
-        seen[label].update(set().union(*ss) if ss else ())
+    for t, label in zip(texts, y, strict=True):
+        seen[label].update(clues([w for _, _, ws in sentences(t) for w in ws]))
     n0, n1 = int((y == 0).sum()), int((y == 1).sum())
     words = sorted(w for w in seen[0].keys() | seen[1].keys() if seen[0][w] + seen[1][w] >= least_docs)
     a = np.array([seen[1][w] for w in words], dtype=np.float64)
@@ -77,10 +84,10 @@ def fit(
     index = {words[i]: k for k, i in enumerate(top)}
     # sentences with a feature as sparse rows; the others of a document share the bias
     cols, rows, doc_of = [], [], []
-    plain = np.zeros(len(split))
-    for i, ss in enumerate(split):
-        for s in ss:
-            hit = [index[w] for w in s if w in index]
+    plain = np.zeros(len(texts))
+    for i, t in enumerate(texts):
+        for _, _, ws in sentences(t):
+            hit = [index[w] for w in clues(ws) & index.keys()]
             if hit:
                 rows += [len(doc_of)] * len(hit)
                 cols += sorted(hit)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from probsum.llm import piece_bpe, quality_rules, simhash_dedup, toxicity
+from probsum.llm import licenses, packing, piece_bpe, quality_rules, simhash_dedup, site_quality, toxicity
 from probsum.llm.common import table
 
 
@@ -30,6 +30,11 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Licences found in every document."""
+    return licenses.scanned(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op6_piece_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Token ids and decoded text of every document, as digests."""
     import public_tokenizers
@@ -50,13 +55,30 @@ def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op8_site_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality of every document, its source taken as the host and the language section as the path."""
+    found = site_quality.scored(
+        table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), F.col("source"), F.col("lang")
+    )
+    return found.withColumnRenamed("id", "doc_id")
+
+
+def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every piece of every document with its place in a bin."""
+    return packing.packed(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
     "op4_toxicity": op4_toxicity,
+    "op5_license_scan": op5_license_scan,
     "op6_piece_bpe": op6_piece_bpe,
     "op7_simhash_dedup": op7_simhash_dedup,
+    "op8_site_quality": op8_site_quality,
+    "op9_best_fit_packing": op9_best_fit_packing,
 }
 
 ORACLES: dict[str, str] = {
     "op1_quality_rules": quality_rules.oracle(),
+    "op5_license_scan": licenses.oracle(),
 }

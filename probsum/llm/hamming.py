@@ -83,19 +83,30 @@ def _run_links(key: np.ndarray, fps: np.ndarray, max_bits: int, small: int = 24)
     return out
 
 
-def links(fps: DataFrame, col: str, max_bits: int = 4, tile: int = 2048, subset: int = 3) -> DataFrame:
+def byte_masks(max_bits: int, subset: int = 3) -> list[int]:
+    """Masks of the positional bytes an index key takes."""
+    shared = BYTES - max_bits
+    return [sum(0xFF << (8 * p) for p in c) for c in covering_positions(shared, min(subset, shared))]
+
+
+def block_masks(blocks: int, intact: int) -> list[int]:
+    """Masks of every `intact` of `blocks` bit blocks: complete for up to blocks - intact differing bits."""
+    edges = [64 * i // blocks for i in range(blocks + 1)]
+    each = [((1 << (b - a)) - 1) << a for a, b in zip(edges, edges[1:])]
+    return [sum(c) for c in combinations(each, intact)]
+
+
+def links(fps: DataFrame, col: str, max_bits: int = 4, tile: int = 2048, masks: list[int] | None = None) -> DataFrame:
     """Pairs (a, b) of distinct values of `col` that connect what all links within `max_bits` connect.
 
-    `fps` holds distinct non-null longs. Postings over `tile` members are cut into tiles that
+    `masks` say which bits the index keys take, byte combinations by default. `fps` holds distinct non-null longs. Postings over `tile` members are cut into tiles that
     pair every two chunks of members, so no task holds more than two chunks of a posting; a tile
     yields a forest of its links, never all its pairs.
     """
-    shared = BYTES - max_bits
-    chosen = covering_positions(shared, min(subset, shared))
+    chosen = masks or byte_masks(max_bits)
     fp = F.col(col).cast("long")
 
-    def key(c: tuple[int, ...], n: int):
-        mask = sum(0xFF << (8 * p) for p in c)
+    def key(mask: int, n: int):
         signed = mask - (1 << 64) if mask >> 63 else mask
         return F.struct(F.lit(n).cast("tinyint").alias("c"), fp.bitwiseAND(F.lit(signed).cast("long")).alias("v"))
 

@@ -136,7 +136,7 @@ def oracle(least: float = 0.8, templates=TEMPLATES) -> str:
     def grams(col: str) -> str:
         return (
             f"list_filter(string_split_regex(lower({col}), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '') as w,"
-            " list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) as g"
+            " list_distinct(list_transform(list_zip(w[1:len(w) - 1], w[2:]), lambda p: p[1] || ' ' || p[2])) as g"
         )
 
     return f"""

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from probsum.llm import licenses, packing, piece_bpe, quality_rules, simhash_dedup, site_quality, toxicity
+from probsum.llm import licenses, line_dedup, packing, piece_bpe, quality_rules, simhash_dedup, site_quality, toxicity
 from probsum.llm.common import table
 
 
@@ -15,6 +15,11 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("failed_rules")
 
 
+def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What line deduplication leaves of every document."""
+    return line_dedup.reported(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Toxicity score of every document by a model of its sentences, learned outside the held-out fifth."""
     docs = table(spark, sf_dir, "documents")
@@ -70,6 +75,7 @@ def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
+    "op2_line_dedup": op2_line_dedup,
     "op4_toxicity": op4_toxicity,
     "op5_license_scan": op5_license_scan,
     "op6_piece_bpe": op6_piece_bpe,

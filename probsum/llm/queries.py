@@ -5,7 +5,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from probsum.llm import licenses, line_dedup, packing, piece_bpe, quality_rules, simhash_dedup, site_quality, toxicity
+from probsum.llm import (
+    licenses,
+    line_dedup,
+    packing,
+    piece_bpe,
+    quality_rules,
+    simhash_dedup,
+    site_quality,
+    toxicity,
+    vector_join,
+)
 from probsum.llm.common import table
 
 
@@ -73,6 +83,12 @@ def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
 
+def op10_vector_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links and group of every vector."""
+    found = vector_join.near_duplicates(table(spark, sf_dir, "embeddings"))
+    return found.withColumnsRenamed({"id": "vec_id", "component": "component_id"})
+
+
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
     "op2_line_dedup": op2_line_dedup,
@@ -82,9 +98,20 @@ QUERIES = {
     "op7_simhash_dedup": op7_simhash_dedup,
     "op8_site_quality": op8_site_quality,
     "op9_best_fit_packing": op9_best_fit_packing,
+    "op10_vector_join": op10_vector_join,
 }
 
 ORACLES: dict[str, str] = {
+    "op10_vector_join": """
+with recursive v as (select vec_id, embedding::double[] as e from embeddings where embedding is not null),
+l as (select a.vec_id as a, b.vec_id as b from v a join v b on a.vec_id <> b.vec_id
+  and list_cosine_similarity(a.e, b.e) >= 0.9),
+r(a, b) as (select vec_id, vec_id from v union select r.a, l.b from r join l on r.b = l.a),
+c as (select a, min(b) as component_id from r group by 1),
+n as (select a, count(*) as n from l group by 1)
+select vec_id, coalesce(n, 0)::bigint as n_links, coalesce(component_id, vec_id) as component_id,
+  vec_id = coalesce(component_id, vec_id) as kept
+from embeddings left join c on c.a = vec_id left join n on n.a = vec_id""",
     "op1_quality_rules": quality_rules.oracle(),
     "op5_license_scan": licenses.oracle(),
 }

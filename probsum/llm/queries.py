@@ -9,6 +9,7 @@ from probsum.llm import (
     licenses,
     line_dedup,
     packing,
+    passage_dedup,
     piece_bpe,
     quality_rules,
     simhash_dedup,
@@ -30,6 +31,12 @@ def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.reported(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
 
+def op3_passage_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Passages of every document that an earlier document has too."""
+    found = passage_dedup.passages(table(spark, sf_dir, "documents"))
+    return found.withColumnsRenamed({"id": "doc_id", "others": "other_doc_ids"})
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Toxicity score of every document by a model of its sentences, learned outside the held-out fifth."""
     docs = table(spark, sf_dir, "documents")
@@ -92,6 +99,7 @@ def op10_vector_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_quality_rules": op1_quality_rules,
     "op2_line_dedup": op2_line_dedup,
+    "op3_passage_dedup": op3_passage_dedup,
     "op4_toxicity": op4_toxicity,
     "op5_license_scan": op5_license_scan,
     "op6_piece_bpe": op6_piece_bpe,

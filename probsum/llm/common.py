@@ -5,6 +5,8 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -55,11 +57,38 @@ def _signature(edges: DataFrame) -> tuple:
     return tuple(row)
 
 
-def components(edges: DataFrame, src: str = "a", dst: str = "b", max_rounds: int = 60) -> DataFrame:
+def joined_nodes(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(nodes, least node reachable) of links given as arrays, by label halving."""
+    nodes, at = np.unique(np.r_[a, b], return_inverse=True)
+    x, y = at[: len(a)], at[len(a) :]
+    root = np.arange(len(nodes))
+    while True:
+        low = np.minimum(root[x], root[y])
+        new = root.copy()
+        for side in (root[x], root[y], x, y):
+            np.minimum.at(new, side, low)
+        while True:
+            jump = new[new]
+            if (jump == new).all():
+                break
+            new = jump
+        if (new == root).all():
+            return nodes, nodes[root]
+        root = new
+
+
+#: Up to so many links one task joins the nodes, in some 50 MB; more take distributed rounds.
+LINKS_PER_TASK = 1_000_000
+
+
+def components(
+    edges: DataFrame, src: str = "a", dst: str = "b", max_rounds: int = 60, in_one_task: int = LINKS_PER_TASK
+) -> DataFrame:
     """Connected components of an undirected graph given as pairs of longs.
 
     Returns (node, component), component being the smallest node reachable; a node without
-    a link to another node is not listed. Alternates two star contractions (every node hangs
+    a link to another node is not listed. The links are counted first: up to `in_one_task` are joined by one executor
+    task, whose memory that bounds. More go through rounds that alternate two star contractions (every node hangs
     its larger neighbours, then itself and its smaller ones, on its least neighbour) until the
     edge set stops changing: O(log n) rounds in practice. Each round is two aggregates and two joins on the
     edge table; rows are never gathered per node, so hubs cost no memory. Self links and
@@ -75,6 +104,15 @@ def components(edges: DataFrame, src: str = "a", dst: str = "b", max_rounds: int
     seen = _signature(e)
     if not seen[0]:
         return e.select(F.col("a").alias("node"), F.col("b").alias("component"))
+    if seen[0] <= in_one_task:
+
+        def join_up(batches):
+            got = [(p["a"].to_numpy(), p["b"].to_numpy()) for p in batches]
+            if got:
+                nodes, low = joined_nodes(*(np.concatenate(x) for x in zip(*got, strict=True)))
+                yield pd.DataFrame({"node": nodes, "component": low})
+
+        return e.repartition(1).mapInPandas(join_up, "node long, component long")
     for _ in range(max_rounds):
         both = e.select(F.col("a").alias("u"), F.col("b").alias("v")).union(
             e.select(F.col("b").alias("u"), F.col("a").alias("v"))

@@ -16,6 +16,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from probsum.llm.common import written
+
 BYTES = 8
 
 
@@ -114,45 +116,86 @@ def links(fps: DataFrame, col: str, max_bits: int = 4, tile: int = 2048, masks:
         fp.alias("fp"), F.explode(F.array(*[key(c, n) for n, c in enumerate(chosen)])).alias("k")
     ).select("fp", F.xxhash64("k.c", "k.v").alias("k"))
     # two keys that share a hash only add candidates, which are verified
-    sizes = post.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    chunks = F.ceil(F.col("n") / tile).cast("int")
-    mine = F.pmod(F.xxhash64("fp", F.lit(7)), F.col("c")).cast("int")
+
+    def pair_up(batches):
+        """Links of the runs of a sorted stream; members of runs over `tile` come out as (key, fingerprint) rows."""
+        held, size, key, over = [], 0, None, False
+        for pdf in batches:
+            k, v = pdf["k"].to_numpy(), pdf["fp"].to_numpy()
+            start = np.flatnonzero(np.r_[True, k[1:] != k[:-1]])
+            if key is not None and k[0] == key and len(start) == 1:  # still the same run
+                last = 0
+            else:
+                last = int(start[-1])
+            if last or k[0] != key:
+                # all runs before the last are whole now; the one carried over ends inside this batch or did before
+                end = int(start[1]) if key is not None and k[0] == key else 0
+                if key is not None:
+                    if over:
+                        if end:
+                            yield _rows(k[:end], v[:end], True)
+                    else:
+                        held.append((k[:end], v[:end]))
+                        yield from whole(held)
+                elif end == 0:
+                    pass
+                inner = slice(end, last)
+                if last > end:
+                    yield from whole([(k[inner], v[inner])])
+                held, size, key, over = [], 0, int(k[-1]), False
+                k, v = k[last:], v[last:]
+            size += len(k)
+            if over or size > tile:
+                for a, b in [*held, (k, v)]:
+                    yield _rows(a, b, True)
+                held, over = [], True
+            else:
+                held.append((k, v))
+        if held:
+            yield from whole(held)
+
+    def whole(parts):
+        k, v = (np.concatenate(x) for x in zip(*parts, strict=True))
+        if len(k) < 2:
+            return
+        start = np.flatnonzero(np.r_[True, k[1:] != k[:-1]])
+        run = np.diff(np.r_[start, len(k)])
+        large = np.repeat(run > tile, run)
+        if large.any():
+            yield _rows(k[large], v[large], True)
+            k, v = k[~large], v[~large]
+        yield from (_rows(a.view(np.int64), b.view(np.int64), False) for a, b in _run_links(k, v.view(np.uint64), max_bits) if len(a))
+
+    first = written(
+        post.repartition("k").sortWithinPartitions("k").mapInPandas(pair_up, "a long, b long, over boolean"), "postings"
+    )
+    close = first.where("not over").select("a", "b")
+    large = first.where("over").select(F.col("a").alias("k"), F.col("b").alias("fp"))
+    sizes = large.groupBy("k").agg(F.ceil(F.count(F.lit(1)) / tile).cast("int").alias("c"))
     tiled = (
-        post.join(sizes, "k")
-        .select("k", "fp", chunks.alias("c"))
-        .withColumn("i", mine)
+        large.join(sizes, "k")
+        .withColumn("i", F.pmod(F.xxhash64("fp", F.lit(7)), F.col("c")).cast("int"))
         .withColumn("j", F.explode(F.expr("sequence(0, c - 1)")))
-        .select(
-            F.xxhash64("k", F.least("i", "j"), F.greatest("i", "j")).alias("k"), "fp"
-        )
+        .select(F.xxhash64("k", F.least("i", "j"), F.greatest("i", "j")).alias("k"), "fp")
     )
 
-    def pair_up(batches):
-        hold = []
-        held = 0
+    def tile_links(batches):
+        hold: list = []
         for pdf in batches:
             hold.append((pdf["k"].to_numpy(), pdf["fp"].to_numpy().view(np.uint64)))
-            held += len(pdf)
-            if held < 200_000:
-                continue
             k, v = (np.concatenate(x) for x in zip(*hold, strict=True))
             cut = int(np.searchsorted(k, k[-1]))
             if cut:
-                yield from _frames(_run_links(k[:cut], v[:cut], max_bits))
-            hold, held = [(k[cut:], v[cut:])], len(k) - cut
-        if hold and held > 1:
-            k, v = (np.concatenate(x) for x in zip(*hold, strict=True))
-            yield from _frames(_run_links(k, v, max_bits))
+                yield from (_rows(a.view(np.int64), b.view(np.int64)) for a, b in _run_links(k[:cut], v[:cut], max_bits) if len(a))
+            hold = [(k[cut:], v[cut:])]
+        for k, v in hold:
+            if len(k) > 1:
+                yield from (_rows(a.view(np.int64), b.view(np.int64)) for a, b in _run_links(k, v, max_bits) if len(a))
 
-    return (
-        tiled.repartition("k")
-        .sortWithinPartitions("k", "fp")
-        .mapInPandas(pair_up, "a long, b long")
-        .distinct()
-    )
+    within = tiled.repartition("k").sortWithinPartitions("k").mapInPandas(tile_links, "a long, b long")
+    return close.union(within)
 
 
-def _frames(pairs):
-    for a, b in pairs:
-        if len(a):
-            yield pd.DataFrame({"a": a.view(np.int64), "b": b.view(np.int64)})
+def _rows(a, b, over: bool | None = None) -> pd.DataFrame:
+    out = {"a": a, "b": b}
+    return pd.DataFrame(out if over is None else out | {"over": over})

@@ -22,7 +22,7 @@ def build_cost(width: float, sets: int, rects: float, kept: float) -> dict[str,
 def build_cost_grid(spark: SparkSession, width: int = 5000, sets=(2, 3, 4), rects=(100, 500, 1000, 2000), kept=(0.1, 0.5, 1.0)) -> DataFrame:
     """(sets, rects, kept, per_subset, outer_once, difference, sign) over a parameter grid."""
     rows = [
-        (s, r, float(p), *build_cost(width, s, r, p).values()) for s in sets for r in rects for p in kept
+        (s, r, float(p), *map(float, build_cost(width, s, r, p).values())) for s in sets for r in rects for p in kept
     ]
     frame = spark.createDataFrame(rows, "sets int, rects int, kept double, per_subset double, outer_once double, difference double")
     return frame.selectExpr("*", "cast(sign(difference) as int) as sign")

@@ -283,8 +283,8 @@ class Model:
         with np.errstate(divide="ignore", invalid="ignore"):
             if rest > 1e-9 * max(self.n, 1.0) and p0 > 0:
                 new = s * p0 / (rest * q)
-            else:
-                new = s / q
+            else:  # all rows lie inside: the outside keeps a weight of one part in 10^10
+                new = s / q * max(1.0, 1e10 * p0 / max(self.n, 1e-300))
         self.delta[f] = np.where((s > 0) & (q > 0) & np.isfinite(new), new, 0.0)
 
     def step_coordinate(self, kind: str, key, j: int) -> None:

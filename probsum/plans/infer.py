@@ -131,6 +131,8 @@ def estimate_groups(model: Model, by: list[str], weights: Weights | None = None)
         out = np.stack(parts)
         return np.moveaxis(out, range(len(by)), [by.index(a) for a in (lead, *rest)])
     a, b = by
+    if hasattr(model, "groups2"):
+        return scale * model.groups2(a, b, w)
     inner = {k: v for k, v in w.items() if k not in by}
     base = model._free(inner, (a, b))
     va, vb = np.ones(model.sizes[a]), np.ones(model.sizes[b])

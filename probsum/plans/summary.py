@@ -16,6 +16,7 @@ from probsum.operators.pairs import pair_scores, pick_pairs
 from probsum.operators.rectangles import kd_rectangles
 from probsum.operators.stats import base_cuboid, contingencies, matrix_of, value_stats
 from probsum.plans import infer
+from probsum.plans.forest import build_model
 from probsum.plans.model import Family, Model
 
 
@@ -183,7 +184,7 @@ class Summary:
             fam = family_of_sets([{a: set(c) for a, c in r["codes"].items()} for r in own], [r["target"] for r in own], sizes)
             families.append(Family(tuple(own[0]["attrs"]), fam.masks, fam.targets))
             delta.append(np.array([r["delta"] for r in own]))
-        model = Model(values, families, meta["n"])
+        model = build_model(values, families, meta["n"])
         model.alpha, model.delta = alpha, delta
         attrs = [Attr(*x) for x in ast.literal_eval(meta["spec"])]
         domain = spark.read.parquet(f"{path}/domain")
@@ -199,7 +200,7 @@ class Summary:
     def warm_model(self, values: dict[str, np.ndarray], targets: list[np.ndarray], n: float) -> Model:
         """A model with new targets that starts from the present parameters."""
         fams = [Family(f.attrs, f.masks, np.asarray(t, dtype=np.float64)) for f, t in zip(self.model.families, targets, strict=True)]
-        new = Model(values, fams, n)
+        new = type(self.model)(values, fams, n)
         for a in new.attrs:
             old = self.model.alpha[a]
             new.alpha[a] = np.where(new.values[a] > 0, np.where(old > 0, old, new.alpha[a]), 0.0)
@@ -242,7 +243,7 @@ def summarise(
             families.append(choose_family(matrix_of(table, a, b, (sizes[a], sizes[b])), a, b, per_pair, rects, ordering, sizes))
         table.unpersist()
     cuboid.unpersist()
-    model = Model(values, families, n)
+    model = build_model(values, families, n)
     t2 = time.perf_counter()
     out = Summary(spark, domain, model, attrs, chosen, {"load": t1 - t0, "build": t2 - t1})
     return out.solve(**solver) if fit else out

@@ -71,20 +71,18 @@ class Attr:
         return self.width is not None
 
 
-def _dictionary(df: DataFrame, name: str) -> DataFrame:
-    values = df.groupBy(F.col(name).alias("label")).agg(F.count(F.lit(1)).alias("n")).where("label is not null")
-    code = F.row_number().over(W.orderBy("label")) - 1
-    return values.select(
-        F.lit(name).alias("attr"), code.cast("int").alias("code"), F.col("label").cast("string").alias("label"),
+def _dictionary(counts: DataFrame, name: str) -> DataFrame:
+    code = F.row_number().over(W.orderBy(name)) - 1
+    return counts.select(
+        F.lit(name).alias("attr"), code.cast("int").alias("code"), F.col(name).cast("string").alias("label"),
         F.lit(None).cast("double").alias("lo"), F.lit(None).cast("double").alias("hi"), "n",
     )
 
 
-def _bucketed(df: DataFrame, a: Attr) -> DataFrame:
-    code = equi_width(a.name, a.width, a.lo, a.size)
-    rows = df.groupBy(code.alias("code")).agg(F.count(F.lit(1)).alias("n")).where("code is not null")
+def _bucketed(counts: DataFrame, a: Attr) -> DataFrame:
+    rows = counts.select(F.col(a.name).alias("code"), "n")
     if a.size is not None:
-        grid = df.sparkSession.range(a.size).select(F.col("id").cast("int").alias("code"))
+        grid = counts.sparkSession.range(a.size).select(F.col("id").cast("int").alias("code"))
         rows = grid.join(rows, "code", "left").select("code", F.coalesce("n", F.lit(0)).alias("n"))
     lo = F.lit(a.lo) + F.col("code") * a.width
     return rows.select(
@@ -94,8 +92,20 @@ def _bucketed(df: DataFrame, a: Attr) -> DataFrame:
 
 
 def build_domain(df: DataFrame, attrs: list[Attr]) -> DataFrame:
-    """domain(attr, code, label, lo, hi, n): codes ascend with the value; pinned buckets may have n = 0."""
-    parts = [_bucketed(df, a) if a.arithmetic else _dictionary(df, a.name) for a in attrs]
+    """domain(attr, code, label, lo, hi, n): codes ascend with the value; pinned buckets may have n = 0.
+
+    The values of all attributes are counted in one pass by grouping sets; what follows works on that small table.
+    """
+    names = [a.name for a in attrs]
+    keyed = df.select(*[equi_width(a.name, a.width, a.lo, a.size).alias(a.name) if a.arithmetic else F.col(a.name) for a in attrs])
+    counts = keyed.groupingSets([[c] for c in names], *names).agg(
+        F.count(F.lit(1)).alias("n"), F.grouping_id(*[F.col(c) for c in names]).alias("_g")
+    ).persist()
+    full = (1 << len(names)) - 1
+    parts = []
+    for i, a in enumerate(attrs):
+        own = counts.where((F.col("_g") == full - (1 << (len(names) - 1 - i))) & F.col(a.name).isNotNull())
+        parts.append(_bucketed(own, a) if a.arithmetic else _dictionary(own, a.name))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

@@ -116,7 +116,9 @@ def scanned(
             )
         ).alias("unit"),
     )
-    grams = _bigrams(units, "unit").drop("unit").withColumn("m", F.size("g")).where("m > 0")
+    # a generator is a barrier: filters and join keys on the bigrams are not computed anew below it
+    once = _bigrams(units, "unit").select("id", F.explode(F.array("g")).alias("g"))
+    grams = once.withColumn("m", F.size("g")).where("m > 0")
     dice = 2 * F.size(F.array_intersect("g", "tg")) / (F.col("m") + F.col("n"))
     return (
         grams.join(F.broadcast(admitted), "m")

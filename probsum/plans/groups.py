@@ -49,14 +49,6 @@ def compatible(a: Column, b: Column) -> Column:
     return _alive(_meet(a, b))
 
 
-def overlap_keys(rects: DataFrame) -> DataFrame:
-    """rects with one row per attribute, word and set bit's word: (.., attr, word) a coarse equi-join key."""
-    each = rects.select("*", F.explode(F.map_entries("masks")).alias("e"))
-    return each.select("*", F.posexplode("e.value").alias("word", "bits")).where("bits <> 0").select(
-        *rects.columns, F.col("e.key").alias("attr"), "word"
-    )
-
-
 def prune_isolated(rects: DataFrame) -> DataFrame:
     """Rectangles that meet a rectangle of another set, or share no attribute with one: a semi-join reduction."""
     a, b = rects.alias("a"), rects.select(*[F.col(c).alias(f"o_{c}") for c in rects.columns])

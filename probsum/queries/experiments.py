@@ -203,9 +203,10 @@ def pair_budget(spark, d, budgets=(50, 100, 200, 400), sweeps: int = 30) -> list
     zero = zero[np.argsort((zero[:, 0] * 7919 + zero[:, 1] * 104729) % 1000003, kind="stable")][:200]
     kinds = {"heavy": cells[:100], "light": cells[-100:], "absent": [(0, int(x), int(y)) for x, y in zero]}
     out = []
-    for rule in ("heavy", "empty", "kd", "kd median"):
+    variants = {"kd median": {"rule": "median"}, "kd best_first": {"order": "best_first"}}
+    for rule in ("heavy", "empty", "kd", *variants):
         for b in budgets:
-            options = {"rule": "median"} if rule == "kd median" else {}
+            options = variants.get(rule, {})
             fam = choose_family(m, "net", "gross", b, rule.split()[0], "natural", sizes, **options)
             model = Model(values, [fam]).solve(max_sweeps=sweeps)
             est = infer.estimate_groups(model, ["net", "gross"])

@@ -140,8 +140,9 @@ class PieceModel:
 
     def _reset(self) -> None:
         self.known.clear()
-        self.stored: list[np.ndarray] = []
-        self.n_words = 0
+        self.stored = np.zeros(0, dtype=np.uint32)  # ids of the known words end to end
+        self.stored_at = np.zeros(0, dtype=np.int64)
+        self.stored_len = np.zeros(0, dtype=np.int64)
 
     # -- encoding ---------------------------------------------------------
 
@@ -191,10 +192,10 @@ class PieceModel:
             push(i, nxt[i])
         return [s for s in sym if s != -(1 << 40)]
 
-    def encode_words(self, words: list[str]) -> list[np.ndarray]:
-        """Ids of each word, by merge rounds over all words at once."""
+    def encode_words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids end to end, number of ids of each word) of non-empty words, by merge rounds over all words at once."""
         if not words:
-            return []
+            return np.zeros(0, dtype=np.uint32), np.zeros(0, dtype=np.int64)
         points = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
         chars, inverse = np.unique(points, return_inverse=True)
         # a character outside the vocabulary is a negative symbol: -1 - code point
@@ -271,7 +272,7 @@ class PieceModel:
             out = np.repeat(sym, width)
             out[np.repeat(lone, width)] = self.byte_id[np.frombuffer(b"".join(raw), dtype=np.uint8)]
             sym, word = out, np.repeat(word, width)
-        return np.split(sym.astype(np.uint32), np.searchsorted(word, np.arange(1, len(words))))
+        return sym.astype(np.uint32), np.bincount(word, minlength=len(words))
 
     _WORD = re.compile(f"\n|{MARK}+[^{MARK}\n]*|[^{MARK}\n]+")
 
@@ -281,19 +282,26 @@ class PieceModel:
         if len(self.known) > most_known:
             self._reset()
         known = self.known
-        fresh = [w for w in dict.fromkeys(w for ws in split for w in ws) if w not in known]
+        fresh = list(set().union(*split) - known.keys())
+        parts, sizes = [self.stored], [self.stored_len]
         for at in range(0, len(fresh), 50_000):
             part = fresh[at : at + 50_000]
-            for w, ids in zip(part, self.encode_words(part), strict=True):
-                known[w] = len(self.stored)
-                self.stored.append(ids)
-        head = [np.array([self.bos], dtype=np.uint32)] if ends else []
-        tail = [np.array([self.eos], dtype=np.uint32)] if ends else []
-        stored = self.stored
-        return [
-            np.concatenate([*head, *[stored[known[w]] for w in ws], *tail] or [np.zeros(0, dtype=np.uint32)])
-            for ws in split
-        ]
+            ids, n = self.encode_words(part)
+            known.update(zip(part, range(len(known), len(known) + len(part))))
+            parts.append(ids)
+            sizes.append(n)
+        if fresh:
+            self.stored, self.stored_len = np.concatenate(parts), np.concatenate(sizes)
+            self.stored_at = np.r_[0, np.cumsum(self.stored_len)[:-1]]
+        # all words of all texts in one gather, the ends of texts as words of their own
+        n_words = np.fromiter(map(len, split), np.int64, len(split))
+        word = np.fromiter((known[w] for ws in split for w in ws), np.int64, int(n_words.sum()))
+        size = self.stored_len[word]
+        upto = np.r_[0, np.cumsum(size)]
+        flat = self.stored[np.repeat(self.stored_at[word] - upto[:-1], size) + np.arange(upto[-1])]
+        cut = upto[np.r_[0, np.cumsum(n_words)]].tolist()
+        head, tail = (np.array([x] if ends else [], dtype=np.uint32) for x in (self.bos, self.eos))
+        return [np.concatenate([head, flat[i:j], tail]) for i, j in zip(cut, cut[1:])]
 
     # -- decoding ---------------------------------------------------------
 

@@ -28,7 +28,7 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What line deduplication leaves of every document."""
-    return line_dedup.reported(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+    return line_dedup.reported(table(spark, sf_dir, "documents"), **line_dedup.WIDE).withColumnRenamed("id", "doc_id")
 
 
 def op3_passage_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

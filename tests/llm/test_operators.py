@@ -282,6 +282,25 @@ def test_line_groups_equal_brute_force(spark, sf):
     assert got == want and not first
 
 
+def test_wide_line_groups_equal_edit_similarity(spark):
+    rnd = random.Random(21)
+    rows = []
+    for n in (8, 15, 30, 45, 60) * 6:
+        base = words(rnd, n)
+        for _ in range(3):
+            copy = list(base)
+            for i in rnd.sample(range(n), n // 10 + 1):
+                copy[i] = words(rnd, 1)[0]
+            rows.append(" ".join(copy))
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    near = [(a, b) for b in range(len(rows)) for a in range(b) if line_dedup.similar(rows[a], rows[b], 0.8)]
+    low = dict(zip(*common.joined_nodes(*np.array(near).T)))
+    want = {int(a) for a, b in low.items() if a != b}
+    got = {r["id"] for r in line_dedup.repeated_lines(docs, **line_dedup.WIDE).collect()}
+    assert len(want) > 40 and got <= want and len(got) >= 0.9 * len(want)
+    assert len(line_dedup.repeated_lines(docs).collect()) < 0.5 * len(want)
+
+
 def test_lines_odd_rows(spark, odd, none):
     out = line_dedup.without_repeats(odd)
     assert out.columns == odd.columns and out.count() == odd.count()

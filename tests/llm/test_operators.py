@@ -301,6 +301,12 @@ def test_wide_line_groups_equal_edit_similarity(spark):
     assert len(line_dedup.repeated_lines(docs).collect()) < 0.5 * len(want)
 
 
+def test_short_lines_repeat_exactly(spark):
+    docs = spark.createDataFrame([(1, "All rights reserved.\nOne\n\n"), (2, "all rights reserved\nAll rights removed\n\none")], "doc_id long, text string")
+    out = {r["doc_id"]: r["text"] for r in line_dedup.without_repeats(docs, **line_dedup.WIDE).collect()}
+    assert out == {1: "All rights reserved.\nOne\n\n", 2: "All rights removed\n"}
+
+
 def test_lines_odd_rows(spark, odd, none):
     out = line_dedup.without_repeats(odd)
     assert out.columns == odd.columns and out.count() == odd.count()

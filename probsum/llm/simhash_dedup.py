@@ -7,7 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probsum.llm import hamming
+from probsum.llm import hamming, line_dedup
 from probsum.llm.common import components, written
 
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
@@ -110,3 +110,64 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     )
     kept = docs.join(lost, F.col(id_col).cast("long") == F.col("_lost"), "left_anti")
     return kept
+
+
+def shingle_sets(docs: DataFrame, id_col: str, text_col: str, words: int, bands: int = 0) -> DataFrame:
+    """(id, h, t) or, with `bands`, (id, h, sim, fine, keys): h names the set t of word shingles of a text, sim and fine are sketches of it.
+
+    Texts without a word have the empty set, h zero and no keys. Rows with a null id are left out.
+    """
+
+    def row(key, text):
+        u = np.unique(np.concatenate([np.zeros(0, np.uint64), *shingle_hashes(text, words)]))
+        h = int(line_dedup._mixed(u).sum(dtype=np.uint64).view(np.int64))
+        if not bands:
+            return key, h, u.view(np.int64)
+        if not len(u):
+            return key, h, 0, 0, None
+        ones = np.unpackbits(u.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        sim = np.packbits((2 * ones > len(u)).astype(np.uint8), bitorder="little").view(np.int64)[0]
+        keys, fine = line_dedup._band_keys(u, np.zeros(len(u), bool), np.array([0]), np.array([True]), bands)
+        return key, h, sim, fine.view(np.int64)[0], keys[0]
+
+    names = ["id", "h", "sim", "fine", "keys"] if bands else ["id", "h", "t"]
+
+    def run(batches):
+        for pdf in batches:
+            for at in range(0, len(pdf), 500):
+                part = pdf.iloc[at : at + 500]
+                yield pd.DataFrame([row(k, t) for k, t in zip(part["id"].tolist(), part["text"].tolist(), strict=True)], columns=names)
+
+    return (
+        docs.where(F.col(id_col).isNotNull())
+        .select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+        .mapInPandas(run, "id long, h long, " + ("sim long, fine long, keys array<int>" if bands else "t array<long>"))
+    )
+
+
+def without_similar(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, least: float = 0.8, bands: int = 16,
+    max_bits: int = 34, chunk: int = 128,
+) -> DataFrame:
+    """The rows of `docs` without near duplicates: of documents that Jaccard similarities of `least` connect the least id stays.
+
+    Similarity is exact, on sets of `words`-word shingles. Candidates share one of `bands` hashes of three minima of their
+    sets and differ in at most `max_bits` bits of SimHash and minima together. Rows with a null id stay.
+    """
+    rows = written(shingle_sets(docs, id_col, text_col, words, bands), "shingles")
+    kinds = rows.groupBy("h").agg(F.min("id").alias("least"), *[F.min(c).alias(c) for c in ("sim", "fine", "keys")])
+    kinds = written(kinds, "shingle-kinds")
+    groups = written(line_dedup._banded(kinds, max_bits).join(kinds.select("h", "sim", "fine", "least"), "h"), "shingle-groups")
+    held = docs.join(groups.select(F.col("least").alias("_least")).distinct(), F.col(id_col).cast("long") == F.col("_least"), "left_semi")
+    sets = shingle_sets(held, id_col, text_col, words).select("h", "t").dropDuplicates(["h"])
+
+    def alike(a, b):
+        both = len(np.intersect1d(a, b, assume_unique=True))
+        return both >= least * (len(a) + len(b) - both) - 1e-9
+
+    found = components(line_dedup.linked(groups.drop("least").join(sets, "h"), max_bits, chunk, np.asarray, alike))
+    found = written(found, "shingle-components")
+    root = kinds.join(found, F.col("h") == F.col("node"), "left").select("h", "least", F.coalesce("component", "h").alias("root"))
+    named = root.groupBy("root").agg(F.min("least").alias("first"))
+    lost = rows.join(root.select("h", "root").join(named, "root"), "h").where("id > first").select(F.col("id").alias("_lost")).distinct()
+    return docs.join(lost, F.col(id_col).cast("long") == F.col("_lost"), "left_anti")

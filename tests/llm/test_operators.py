@@ -169,6 +169,27 @@ def test_simhash_odd_rows(spark, odd, none):
     assert simhash_dedup.near_duplicates(none).count() == 0 and simhash_dedup.keep_first(none).columns == none.columns
 
 
+def test_near_copies_of_the_pipeline_equal_jaccard(spark, sf):
+    import corpus_pipeline
+
+    rnd = random.Random(22)
+    rows = []
+    for n in (60, 150, 400) * 5:
+        base = words(rnd, n)
+        for changed in (0, n // 100 + 1, n // 60 + 1, n // 15):
+            copy = list(base)
+            for i in rnd.sample(range(n), changed):
+                copy[i] = words(rnd, 1)[0]
+            rows.append(" ".join(copy))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, rows)]
+    near = [(a, b) for b in range(len(rows)) for a in range(b) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    low = dict(zip(*common.joined_nodes(*np.array(near).T)))
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    kept = {r["doc_id"] for r in corpus_pipeline.drop_near_copies(spark, docs, sf).collect()}
+    assert kept == {i for i in range(len(rows)) if low.get(i, i) == i}
+    assert len(kept) < simhash_dedup.keep_first(docs).count()
+
+
 # -- quality rules -----------------------------------------------------------------------
 
 

@@ -374,6 +374,23 @@ def test_exact_and_fuzzy_passages(spark):
     assert left[2] == docs[1][1][:20] and left[1] == docs[0][1] and left[4] == docs[3][1]
 
 
+def test_exact_passages_beside_revised_text(spark):
+    rnd = random.Random(23)
+    base, same = words(rnd, 50), [words(rnd, 12) for _ in range(4)]
+    a, b = list(base), list(base)
+    for part in same:
+        a += words(rnd, 8) + part
+        b += words(rnd, 8) + part
+    assert len(a) == len(b) == 130
+    p = [*range(0, 46, 5), *(50 + 20 * n + 8 + m for n in range(4) for m in (0, 7))]
+    found = passage_dedup.align(a, b, 0, p, p, 5, 0.8)
+    assert any(s == 0 and e >= 50 for s, e, *_ in found)
+    assert all(n <= 0.2 * max(e - s, u - t) for s, e, t, u, n in found)
+    docs = spark.createDataFrame([(1, " ".join(a)), (2, " ".join(b))], "doc_id long, text string")
+    got = passage_dedup.passages(docs).collect()
+    assert [r["id"] for r in got] == [2] and got[0]["start"] == 0 and got[0]["end"] >= 50
+
+
 def test_every_exact_repeat_is_found(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     texts = {r["doc_id"]: passage_dedup.words_of(r["text"]) for r in docs.collect()}

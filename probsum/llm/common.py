@@ -5,9 +5,11 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+from collections.abc import Callable, Iterable
+
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Words are maximal runs of characters other than the blank and U+0009..U+000D.
@@ -19,12 +21,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a folder of our own only where none is set."""
+    """The shared folder the cluster names; where none is set, a folder of our own in local mode and an error elsewhere."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             return found.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         root = tempfile.mkdtemp(prefix="probsum-")
         spark.sparkContext.setCheckpointDir(root)
     return root
@@ -50,6 +54,110 @@ def forget(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def _pack(text: str | None) -> bytes | None:
+    import zstandard
+
+    return None if text is None else zstandard.ZstdCompressor(level=1).compress(text.encode("utf-8", "surrogatepass"))
+
+
+def unpacked(z: bytes) -> str:
+    import zstandard
+
+    return zstandard.ZstdDecompressor().decompress(z).decode("utf-8", "surrogatepass")
+
+
+def packed(text: str | Column) -> Column:
+    """The texts compressed, for shuffles: some two fifths of what Spark's own compression of rows leaves."""
+    return F.pandas_udf(lambda t: pd.Series([_pack(x) for x in t], dtype=object), "binary")(text)
+
+
+_ARROW = {"long": "int64", "int": "int32", "string": "string"}
+
+
+def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answer: Callable[[str, list[dict]], Iterable[tuple]], schema: str) -> DataFrame:
+    """Rows answer(text, asks) for every text of `docs` and the rows of `asks` (id and others) about its id.
+
+    Texts travel compressed and meet the asks of their id in one sorted stream: the asks of one id are held, its
+    texts pass one by one. `schema` has columns of type long, int or string.
+    """
+    names = [c for c in asks.columns if c != "id"]
+    kinds = dict(asks.dtypes)
+    texts = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(
+        F.col(id_col).cast("long").alias("id"), packed(F.col(text_col)).alias("z"),
+        *[F.lit(None).cast(kinds[c]).alias(c) for c in names],
+    )
+    rows = asks.select("id", F.lit(None).cast("binary").alias("z"), *names).unionByName(texts)
+    fields = [x.split() for x in schema.split(", ")]
+
+    def run(batches):
+        import pyarrow as pa
+
+        made = pa.schema([(name, getattr(pa, _ARROW[kind])()) for name, kind in fields])
+
+        def frame(out):
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), made)], schema=made)
+
+        held, key, out = [], None, []
+        for batch in batches:
+            ids, zs = batch.column("id").to_pylist(), batch.column("z")
+            empty = zs.is_null().to_pylist()
+            rest = batch.select(names)
+            asked = iter(rest.filter(zs.is_null()).to_pylist())
+            for i, (this, ask) in enumerate(zip(ids, empty, strict=True)):
+                if this != key:
+                    held, key = [], this
+                if ask:
+                    held.append(next(asked))
+                elif held:
+                    out += answer(unpacked(zs[i].as_py()), held)
+                    if len(out) > 5000:
+                        yield frame(out)
+                        out = []
+        if out:
+            yield frame(out)
+
+    return rows.repartition("id").sortWithinPartitions("id", F.col("z").isNotNull()).mapInArrow(run, schema)
+
+
+def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable, columns: list[str] | None = None) -> DataFrame:
+    """`docs` with text changed to change(text, *lists) where its id has a row (id, lists) in `cuts`; other texts stay.
+
+    The texts travel compressed; every column keeps its name, whatever it is, and its place.
+    """
+    lists = [c for c in cuts.columns if c != "id"]
+    row = docs.withColumn(text_col, packed(F.col(text_col))).select(F.struct("*").alias("row"), F.col(id_col).cast("long").alias("key"))
+    cut = cuts.select(F.col("id").alias("at"), F.struct(*lists).alias("cut"))
+
+    def run(z: pd.Series, *held: pd.Series) -> pd.Series:
+        out = []
+        for x, *given in zip(z, *held, strict=True):
+            text = None if x is None else unpacked(x)
+            out.append(text if text is None or given[0] is None else change(text, *given))
+        return pd.Series(out, dtype=object)
+
+    text = F.pandas_udf(run, "string")(F.col(f"row.`{text_col}`"), *[F.col(f"cut.{c}") for c in lists])
+    return row.join(cut, F.col("key") == F.col("at"), "left").select(
+        *[text.alias(c) if c == text_col else F.col(f"row.`{c}`") for c in docs.columns]
+    )
+
+
+#: Keys with more than one in so many of all rows are joined by broadcast: there are at most so many of them.
+HOT_SHARE = 1000
+
+
+def joined_hot(left: DataFrame, right: DataFrame, key: str, n: str) -> DataFrame:
+    """`left` joined with `right` on `key`, which is unique in `right`; column `n` there counts the rows of `left`.
+
+    Keys that hold over a thousandth of the rows (a thousand keys at most) meet their rows by broadcast, so no
+    task gets a hot key whole; the others are shuffled. `right` should be a written table: it is read twice.
+    """
+    total = right.agg(F.sum(n)).first()[0] or 0
+    is_hot = F.col(n) * HOT_SHARE > F.lit(total)
+    hot, cold = F.broadcast(right.where(is_hot)), right.where(~is_hot)
+    rest = left.join(F.broadcast(right.where(is_hot).select(key)), key, "left_anti")
+    return left.join(hot, key).unionByName(rest.join(cold, key))
+
+
 def _signature(edges: DataFrame) -> tuple:
     row = edges.agg(
         F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from probsum.llm import (
     common,
+    edits,
     hamming,
     licenses,
     line_dedup,
@@ -242,14 +243,14 @@ def test_edit_distance():
 
     for _ in range(500):
         a, b = ("".join(rnd.choice("abc") for _ in range(rnd.randint(0, 12))) for _ in range(2))
-        assert line_dedup.edit_distance(a, b) == plain(a, b)
-        assert line_dedup.edit_distance(list(a), list(b)) == plain(a, b)
+        assert edits.edit_distance(a, b) == plain(a, b)
+        assert edits.edit_distance(list(a), list(b)) == plain(a, b)
 
 
 def test_line_hashes_follow_normal_forms():
     rnd = random.Random(5)
     texts = ["Ab, cd  EF!\nab cd ef\n\nünï Code_x", "ab cd ef", "a b\r\nc", *[" ".join(words(rnd, 30)) for _ in range(5)]]
-    t, line, h, _ = line_dedup.hashed_lines(texts)
+    t, line, h, *_ = line_dedup.hashed_lines(texts)
     got = {(a, b): c for a, b, c in zip(t.tolist(), line.tolist(), h.tolist())}
     form = {(i, j): line_dedup.normalised(x) for i, z in enumerate(texts) for j, x in enumerate(z.split("\n"))}
     assert set(got) == {k for k, v in form.items() if v}
@@ -271,7 +272,7 @@ def test_lines_are_kept_once(spark):
     assert out[1] == f"{base[0]}\n{base[1]}\nshort line"
     assert out[2] == f"{base[2]}\nshort line"
     assert out[4] == base[4]
-    sims = line_dedup.hashed_lines([base[0], near])[3]
+    sims = line_dedup.hashed_lines([base[0], near])[4]
     linked = int(np.bitwise_count(sims[0] ^ sims[1])) <= 3
     assert (out[3] == base[3]) == linked
     report = {r["id"]: r for r in line_dedup.reported(docs).collect()}
@@ -284,7 +285,7 @@ def test_line_groups_equal_brute_force(spark, sf):
     got = {(r["id"], r["line"]): (r["first_id"], r["first_line"]) for r in line_dedup.repeated_lines(docs).collect()}
     rows = [(r["doc_id"], i, n) for r in docs.collect() for i, x in enumerate(r["text"].split("\n")) if (n := line_dedup.normalised(x)).count(" ") >= 4]
     rows.sort()
-    t, _, _, sim = line_dedup.hashed_lines([n for *_, n in rows])
+    t, _, _, _, sim = line_dedup.hashed_lines([n for *_, n in rows])
     first = {}
     lab = list(range(len(rows)))
 

@@ -74,8 +74,8 @@ def packed(text: str | Column) -> Column:
 _ARROW = {"long": "int64", "int": "int32", "string": "string"}
 
 
-def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answer: Callable[[str, list[dict]], Iterable[tuple]], schema: str) -> DataFrame:
-    """Rows answer(text, asks) for every text of `docs` and the rows of `asks` (id and others) about its id.
+def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answer: Callable[[str, list[dict]], Iterable[tuple]], schema: str, check: Callable[[list[tuple]], list[tuple]] | None = None) -> DataFrame:
+    """Rows answer(text, asks) for every text of `docs` and the rows of `asks` (id and others) about its id, as `check` leaves them.
 
     Texts travel compressed and meet the asks of their id in one sorted stream: the asks of one id are held, its
     texts pass one by one. `schema` has columns of type long, int or string.
@@ -95,6 +95,9 @@ def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answe
         made = pa.schema([(name, getattr(pa, _ARROW[kind])()) for name, kind in fields])
 
         def frame(out):
+            out = out if check is None else check(out)
+            if not out:
+                return pa.RecordBatch.from_pylist([], schema=made)
             return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), made)], schema=made)
 
         held, key, out = [], None, []
@@ -119,8 +122,8 @@ def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answe
     return rows.repartition("id").sortWithinPartitions("id", F.col("z").isNotNull()).mapInArrow(run, schema)
 
 
-def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable, columns: list[str] | None = None) -> DataFrame:
-    """`docs` with text changed to change(text, *lists) where its id has a row (id, lists) in `cuts`; other texts stay.
+def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable) -> DataFrame:
+    """`docs` with texts changed by change(texts, *lists) where their id has a row (id, lists) in `cuts`; other texts stay.
 
     The texts travel compressed; every column keeps its name, whatever it is, and its place.
     """
@@ -129,10 +132,10 @@ def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, chan
     cut = cuts.select(F.col("id").alias("at"), F.struct(*lists).alias("cut"))
 
     def run(z: pd.Series, *held: pd.Series) -> pd.Series:
-        out = []
-        for x, *given in zip(z, *held, strict=True):
-            text = None if x is None else unpacked(x)
-            out.append(text if text is None or given[0] is None else change(text, *given))
+        out = [None if x is None else unpacked(x) for x in z]
+        at = [i for i, (x, given) in enumerate(zip(out, held[0], strict=True)) if x is not None and given is not None]
+        for i, x in zip(at, change([out[i] for i in at], *[[h.iloc[i] for i in at] for h in held]), strict=True):
+            out[i] = x
         return pd.Series(out, dtype=object)
 
     text = F.pandas_udf(run, "string")(F.col(f"row.`{text_col}`"), *[F.col(f"cut.{c}") for c in lists])

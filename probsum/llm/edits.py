@@ -59,6 +59,30 @@ def edit_distance(a, b) -> int:
     return score
 
 
+_STEPS = ((1, 1), (0, 1), (1, 0), (2, 2), (1, 2), (2, 1), (0, 2), (2, 0), (3, 3))
+
+
+def surely_within(a: str, b: str, most: int) -> bool:
+    """Whether going along both texts word by word finds at most `most` edits; if not, there may still be so few."""
+    x, y = a.split(" "), b.split(" ")
+    n, m = len(x), len(y)
+    i = j = cost = 0
+    while i < n and j < m:
+        if x[i] == y[j]:
+            i, j = i + 1, j + 1
+            continue
+        for di, dj in _STEPS:
+            if x[i + di : i + di + 2] == y[j + dj : j + dj + 2] and i + di <= n and j + dj <= m:
+                cost += max(sum(map(len, x[i : i + di])) + di, sum(map(len, y[j : j + dj])) + dj)
+                i, j = i + di, j + dj
+                break
+        else:
+            return False
+        if cost > most:
+            return False
+    return cost + sum(map(len, x[i:])) + n - i + sum(map(len, y[j:])) + m - j <= most
+
+
 #: Longer texts are compared one by one: few of them come together, and big integers are faster then.
 SIDE_BY_SIDE = 1000
 #: So few pairs are compared one by one too.
@@ -72,6 +96,9 @@ def within(left: list[str], right: list[str], most: list[int], memory: int = 1 <
     for i, (a, b, m) in enumerate(zip(left, right, most, strict=True)):
         if abs(len(a) - len(b)) > m:
             continue
+        if surely_within(a, b, m):
+            out[i] = True
+            continue
         a, b = _cut(a, b)
         if max(len(a), len(b)) <= m:
             out[i] = True

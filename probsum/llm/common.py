@@ -74,19 +74,19 @@ def packed(text: str | Column) -> Column:
 _ARROW = {"long": "int64", "int": "int32", "string": "string"}
 
 
-def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answer: Callable[[str, list[dict]], Iterable[tuple]], schema: str, check: Callable[[list[tuple]], list[tuple]] | None = None) -> DataFrame:
+def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answer: Callable[[str, list[dict]], Iterable[tuple]], schema: str, check: Callable[[list[tuple]], list[tuple]] | None = None, pack: bool = False) -> DataFrame:
     """Rows answer(text, asks) for every text of `docs` and the rows of `asks` (id and others) about its id, as `check` leaves them.
 
-    Texts travel compressed and meet the asks of their id in one sorted stream: the asks of one id are held, its
+    Texts, compressed if `pack`, meet the asks of their id in one sorted stream: the asks of one id are held, its
     texts pass one by one. `schema` has columns of type long, int or string.
     """
     names = [c for c in asks.columns if c != "id"]
     kinds = dict(asks.dtypes)
     texts = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(
-        F.col(id_col).cast("long").alias("id"), packed(F.col(text_col)).alias("z"),
+        F.col(id_col).cast("long").alias("id"), (packed(F.col(text_col)) if pack else F.col(text_col)).alias("z"),
         *[F.lit(None).cast(kinds[c]).alias(c) for c in names],
     )
-    rows = asks.select("id", F.lit(None).cast("binary").alias("z"), *names).unionByName(texts)
+    rows = asks.select("id", F.lit(None).cast("binary" if pack else "string").alias("z"), *names).unionByName(texts)
     fields = [x.split() for x in schema.split(", ")]
 
     def run(batches):
@@ -112,7 +112,7 @@ def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answe
                 if ask:
                     held.append(next(asked))
                 elif held:
-                    out += answer(unpacked(zs[i].as_py()), held)
+                    out += answer(unpacked(zs[i].as_py()) if pack else zs[i].as_py(), held)
                     if len(out) > 5000:
                         yield frame(out)
                         out = []
@@ -122,25 +122,30 @@ def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answe
     return rows.repartition("id").sortWithinPartitions("id", F.col("z").isNotNull()).mapInArrow(run, schema)
 
 
-def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable) -> DataFrame:
+def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable, pack: bool = False) -> DataFrame:
     """`docs` with texts changed by change(texts, *lists) where their id has a row (id, lists) in `cuts`; other texts stay.
 
-    The texts travel compressed; every column keeps its name, whatever it is, and its place.
+    If `pack`, texts are compressed on their way. Every column keeps its name, whatever it is, and its place; an id
+    without a cut costs no Python.
     """
     lists = [c for c in cuts.columns if c != "id"]
-    row = docs.withColumn(text_col, packed(F.col(text_col))).select(F.struct("*").alias("row"), F.col(id_col).cast("long").alias("key"))
     cut = cuts.select(F.col("id").alias("at"), F.struct(*lists).alias("cut"))
+    rows = docs.withColumn(text_col, packed(F.col(text_col))) if pack else docs
+    row = rows.select(F.struct("*").alias("row"), F.col(id_col).cast("long").alias("key"))
 
     def run(z: pd.Series, *held: pd.Series) -> pd.Series:
-        out = [None if x is None else unpacked(x) for x in z]
+        out = [x if x is None or not pack else unpacked(x) for x in z]
         at = [i for i, (x, given) in enumerate(zip(out, held[0], strict=True)) if x is not None and given is not None]
         for i, x in zip(at, change([out[i] for i in at], *[[h.iloc[i] for i in at] for h in held]), strict=True):
             out[i] = x
         return pd.Series(out, dtype=object)
 
-    text = F.pandas_udf(run, "string")(F.col(f"row.`{text_col}`"), *[F.col(f"cut.{c}") for c in lists])
+    text = F.col(f"row.`{text_col}`")
+    changed = F.pandas_udf(run, "string")(text if pack else F.when(F.col("cut").isNotNull(), text), *[F.col(f"cut.{c}") for c in lists])
+    if not pack:
+        changed = F.coalesce(changed, text)
     return row.join(cut, F.col("key") == F.col("at"), "left").select(
-        *[text.alias(c) if c == text_col else F.col(f"row.`{c}`") for c in docs.columns]
+        *[changed.alias(c) if c == text_col else F.col(f"row.`{c}`") for c in docs.columns]
     )
 
 

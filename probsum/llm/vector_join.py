@@ -75,7 +75,7 @@ def leaf_forest(hit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def near_duplicates(
     vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", least: float = 0.9,
-    block: int = 2048, cells: int = 3, sample: int = 20_000,
+    block: int | None = None, cells: int = 3, sample: int = 20_000,
 ) -> DataFrame:
     """One row (id, n_links, component, kept) per input row.
 
@@ -83,8 +83,9 @@ def near_duplicates(
     counts the other rows linked directly. Equal vectors are one node that counts as often as it occurs, so copies
     cost no pairs. A vector that is null, empty, zero, or has a null or non-finite component links with nothing, and vectors of different
     length do not link. Ids are taken to name vectors; rows repeating an id and a vector count each. The
-    axes are fitted on the `sample` vectors with the least hash, which bounds what the driver sees and
-    only affects speed. Links stay where they are found: a block pair reports counts and a forest.
+    axes are fitted on the `sample` vectors with the least hash, which bounds what the driver sees (20,000 vectors, 10 MB
+    at 64 components) and only affects speed. A block has `block` vectors, or what 8 MB of doubles hold; a pair of blocks is
+    one task's work at a time. Links stay where they are found: a block pair reports counts and a forest.
     """
     v = F.col("v")
     rows = vectors.select(
@@ -109,6 +110,8 @@ def near_duplicates(
     unit = np.array([r["v"] for r in drawn], dtype=np.float64).reshape(-1, dim)
     unit /= np.maximum(np.abs(unit).max(axis=1, keepdims=True), 1e-300)
     axes = principal_axes(unit / np.sqrt((unit * unit).sum(axis=1, keepdims=True)))
+    block = block or max(256, (1 << 23) // (8 * dim))
+    kind = "f4" if vectors.select(vector_col).dtypes[0][1] == "array<float>" else "f8"  # floats travel as they came
     eps = float(np.sqrt(2 - 2 * least))
     width = max(eps, 1e-6)
 
@@ -141,7 +144,7 @@ def near_duplicates(
             lead = np.stack(part["cell"].to_numpy())[:, :cells]
             out = {
                 "block": base + seq, "dim": int(part["dim"].iloc[0]), "n": len(part), "lo": r.min(axis=0).tolist(), "hi": r.max(axis=0).tolist(),
-                "cells": np.unique(lead, axis=0).tolist(), "cls": part["cls"].tolist(), "mult": part["mult"].tolist(), "data": x.tobytes(),
+                "cells": np.unique(lead, axis=0).tolist(), "cls": part["cls"].tolist(), "mult": part["mult"].tolist(), "data": x.astype(kind).tobytes(),
             }
             seq += 1
             return pd.DataFrame([out])
@@ -192,43 +195,48 @@ def near_duplicates(
         .where(gap2 <= eps * eps + SLACK)
         .select("block", "other")
     )
-    full = blocks.select("block", "dim", "cls", "mult", "data")
-    loaded = (
-        pairs.join(full, "block")
-        .join(full.select(*[F.col(c).alias(c + "2") for c in full.columns]), F.expr("other = block2"))
-        .drop("block2")
-    )
+    sides = pairs.select("block", "other", F.explode(F.array_distinct(F.array("block", "other"))).alias("own"))
+    full = blocks.select(F.col("block").alias("own"), "dim", "cls", "mult", "data")
+    loaded = full.join(sides, "own").select("block", "other", "own", "dim", "cls", "mult", "data")
 
     def compare(batches):
+        held = None  # the first block of a pair; the second comes next
         for pdf in batches:
             for r in pdf.itertuples(index=False):
-                same = r.block == r.other
-                a = np.frombuffer(r.data).reshape(-1, r.dim)
-                b = np.frombuffer(r.data2).reshape(-1, r.dim)
-                a, b = a / np.abs(a).max(axis=1, keepdims=True), b / np.abs(b).max(axis=1, keepdims=True)
-                ca, cb, ma, mb = (np.asarray(x, dtype=np.int64) for x in (r.cls, r.cls2, r.mult, r.mult2))
-                got_a, got_b, edges = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64), []
-                for i0, j0, hit in interval_join(a, b, rotate(a), rotate(b), least, same):
-                    i1, j1 = i0 + hit.shape[0], j0 + hit.shape[1]
-                    got_a[i0:i1] += hit @ mb[j0:j1]
-                    got_b[j0:j1] += ma[i0:i1] @ hit
-                    row, col = leaf_forest(hit)
-                    for ids, lab in ((ca[i0:i1], row), (cb[j0:j1], col)):
-                        own = lab >= 0
-                        edges.append(np.c_[ids[own], ca[i0:i1][lab[own]]])
-                out = [(ca, got_a), (cb, got_b)]
-                for ids, got in out:
-                    keep = got > 0
-                    if keep.any():
-                        yield pd.DataFrame({"a": ids[keep], "b": ids[keep], "n": got[keep]})
-                if edges:
-                    e = np.unique(np.concatenate(edges), axis=0)
-                    e = e[e[:, 0] != e[:, 1]]
-                    yield pd.DataFrame({"a": e[:, 0], "b": e[:, 1], "n": np.zeros(len(e), np.int64)})
+                if r.own == r.block:
+                    held = r
+                if r.own == r.other:
+                    yield from joined(held, r)
+
+    def joined(r, other):
+        same = r.block == r.other
+        a, b = (np.frombuffer(x.data, dtype=kind).astype(np.float64).reshape(-1, x.dim) for x in (r, other))
+        a, b = a / np.abs(a).max(axis=1, keepdims=True), b / np.abs(b).max(axis=1, keepdims=True)
+        ca, cb, ma, mb = (np.asarray(x, dtype=np.int64) for x in (r.cls, other.cls, r.mult, other.mult))
+        got_a, got_b, edges = np.zeros(len(a), np.int64), np.zeros(len(b), np.int64), []
+        for i0, j0, hit in interval_join(a, b, rotate(a), rotate(b), least, same):
+            i1, j1 = i0 + hit.shape[0], j0 + hit.shape[1]
+            got_a[i0:i1] += hit @ mb[j0:j1]
+            got_b[j0:j1] += ma[i0:i1] @ hit
+            row, col = leaf_forest(hit)
+            for ids, lab in ((ca[i0:i1], row), (cb[j0:j1], col)):
+                own = lab >= 0
+                edges.append(np.c_[ids[own], ca[i0:i1][lab[own]]])
+        for ids, got in ((ca, got_a), (cb, got_b)):
+            keep = got > 0
+            if keep.any():
+                yield pd.DataFrame({"a": ids[keep], "b": ids[keep], "n": got[keep]})
+        if edges:
+            e = np.unique(np.concatenate(edges), axis=0)
+            e = e[e[:, 0] != e[:, 1]]
+            yield pd.DataFrame({"a": e[:, 0], "b": e[:, 1], "n": np.zeros(len(e), np.int64)})
 
     # a block pair is heavy: few to a task
     found = written(
-        loaded.repartition(F.col("block"), F.col("other")).mapInPandas(compare, "a long, b long, n long"), "vector-links"
+        loaded.repartition("block", "other")
+        .sortWithinPartitions("block", "other", F.col("own") != F.col("block"))
+        .mapInPandas(compare, "a long, b long, n long"),
+        "vector-links",
     )
     counts = found.where("n > 0").groupBy("a").agg(F.sum("n").alias("got"))
     comp = written(components(found.where("n = 0").select("a", "b")), "vector-components")

@@ -49,7 +49,7 @@ def scored(
     labelled rows with the least hash of the id among those whose crc32(id as text) mod `folds` is not 0 (the bound
     of what the driver sees). Its scores, or the labels of those rows, are
     the evidence of a site: hosts shrink to the global rate and paths to their host, by Beta priors whose
-    strengths come from the spread of the groups (method of moments). A document's odds are those of its
+    strengths come from the spread of the hosts about the global rate and of the paths about their own host (method of moments). A document's odds are those of its
     own evidence times the odds ratio of its path to the global rate, itself left out of the path.
     Null hosts and paths are groups of their own; a null text counts as empty; without labels every score is 0.5.
     """
@@ -90,6 +90,22 @@ def scored(
     )
     hosts = paths.groupBy("host").agg(F.sum("n").alias("hn"), F.sum("s").alias("hs"))
 
+    def inner(groups: DataFrame) -> float:
+        """The strength of the paths' prior: the hosts' rate (1 - rate) over the paths' spread about their own host beyond chance, less 1."""
+        inside = groups.alias("p").join(hosts.alias("h"), F.expr("p.host <=> h.host")).selectExpr("n", "s", "hs / hn as r", "hn", "h.host as h")
+        each = inside.groupBy("h").agg(
+            F.first("hn").alias("hn"), F.first("r").alias("r"), F.count(F.lit(1)).alias("g"),
+            F.sum(F.col("s") * F.col("s") / F.col("n")).alias("q"), F.sum(F.col("n") * F.col("n")).alias("n2"),
+        )
+        row = each.agg(
+            F.sum(F.expr("q - hn * r * r")).alias("between"), F.sum(F.expr("(g - 1) * r * (1 - r)")).alias("chance"),
+            F.sum(F.expr("hn - n2 / hn")).alias("weight"), (F.sum(F.expr("hn * r * (1 - r)")) / F.sum("hn")).alias("spread"),
+        ).first()
+        if not row["weight"] or row["weight"] <= 0 or not row["spread"]:
+            return 1e6
+        tau2 = (row["between"] - row["chance"]) / row["weight"]
+        return float(min(max(row["spread"] / tau2 - 1, 1.0), 1e6)) if tau2 > 0 else 1e6
+
     def strength(groups: DataFrame, n: str, s: str) -> tuple[float, float]:
         """Global rate, and the prior's strength: rate (1 - rate) over the spread beyond chance, less 1."""
         row = groups.agg(
@@ -106,7 +122,7 @@ def scored(
         return rate, float(min(max(spread / tau2 - 1, 1.0), 1e6)) if tau2 > 0 else 1e6
 
     rate, k_host = strength(hosts, "hn", "hs")
-    _, k_path = strength(paths, "n", "s")
+    k_path = inner(paths)
     sites = written(
         paths.alias("p")
         .join(hosts.alias("h"), F.expr("p.host <=> h.host"))

@@ -39,9 +39,20 @@ def _tally(x: np.ndarray) -> np.ndarray:
 
 
 def near(a: np.ndarray, b: np.ndarray, max_bits: int) -> np.ndarray:
-    """Which of the broadcast pairs pass the count filter and the bit check."""
+    """Which pairs, side by side, share enough positional bytes and then pass the bit check."""
     x = np.ascontiguousarray(a ^ b)
-    return (_tally(x) >= BYTES - max_bits) & (np.bitwise_count(x) <= max_bits)
+    left = np.flatnonzero(_tally(x) >= BYTES - max_bits)
+    out = np.zeros(len(x), dtype=bool)
+    out[left] = np.bitwise_count(x[left]) <= max_bits
+    return out
+
+
+def tallied(fps: np.ndarray, max_bits: int) -> tuple[int, int, int]:
+    """Of all pairs of one posting: how many there are, how many the tally leaves, and how many of those are links."""
+    i, j = np.triu_indices(len(fps), 1)
+    x = np.ascontiguousarray(fps[i] ^ fps[j])
+    left = _tally(x) >= BYTES - max_bits
+    return len(x), int(left.sum()), int((np.bitwise_count(x[left]) <= max_bits).sum())
 
 
 def forest(fps: np.ndarray, max_bits: int) -> tuple[np.ndarray, np.ndarray]:
@@ -52,11 +63,8 @@ def forest(fps: np.ndarray, max_bits: int) -> tuple[np.ndarray, np.ndarray]:
         stack, rest = [rest[0]], rest[1:]
         while stack and len(rest):
             i = stack.pop()
-            x = fps[rest] ^ fps[i]
-            hit = np.bitwise_count(x) <= max_bits
+            hit = near(fps[rest], fps[i], max_bits)
             if hit.any():
-                found = rest[hit]
-                hit[hit] = _tally(np.ascontiguousarray(x[hit])) >= BYTES - max_bits
                 found = rest[hit]
                 left += [i] * len(found)
                 right += found.tolist()

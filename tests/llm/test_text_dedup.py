@@ -158,3 +158,17 @@ def test_clashing_columns(spark):
         assert out.columns == docs.columns
         kept = {r["doc_id"]: r for r in out.collect()}
         assert kept[1]["text"] == text and kept[1]["_id"] == "a" and kept[3]["text"] is None and kept[3]["row"] == "c"
+
+
+def test_tally_goes_before_the_bit_check():
+    from probsum.llm import hamming
+
+    rng = np.random.default_rng(10)
+    base = rng.integers(0, 1 << 63, 300, dtype=np.uint64)
+    fps = np.unique(np.r_[base, base ^ np.uint64(3), base ^ np.uint64(0x0101010101), base ^ np.uint64(0xFFFF), base ^ np.uint64(0x1111111111111111)])
+    pairs, left, links = hamming.tallied(fps, 4)
+    x = fps[:, None] ^ fps[None, :]
+    upper = np.triu(np.ones(x.shape, bool), 1)
+    shared = (x[..., None].view(np.uint8).reshape(*x.shape, 8) == 0).sum(axis=-1)
+    assert pairs == upper.sum() and left == (upper & (shared >= 4)).sum()
+    assert links == (upper & (np.bitwise_count(x) <= 4)).sum() and links < left < pairs

@@ -127,6 +127,9 @@ def encode(
         kept = drop_nulls(kept, names)
     domain = build_domain(kept, attrs) if domain is None else domain
     out = kept
+    listed = [a.name for a in attrs if not a.arithmetic]
+    values = domain.where(F.col("attr").isin(listed)).groupBy("attr").agg(F.count(F.lit(1))).collect() if listed else []
+    many = {r[0] for r in values if r[1] > MOST_BROADCAST}
     for a in attrs:
         if a.arithmetic:
             code = equi_width(a.name, a.width, a.lo, a.size)
@@ -135,7 +138,7 @@ def encode(
         book = domain.where(F.col("attr") == a.name).select(
             F.col("label").alias("_label"), F.col("code").alias("_code")
         )
-        if book.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:
+        if a.name not in many:
             book = F.broadcast(book)
         out = out.join(book, F.col(a.name).cast("string") == F.col("_label"), "left")
         missing = F.when(F.col(a.name).isNotNull(), F.lit(-1)) if unknown == "mark" else F.lit(None)

@@ -7,6 +7,7 @@ from itertools import combinations
 from math import comb
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 
@@ -16,14 +17,12 @@ def pair_scores(contingency: DataFrame, n: int, sizes: dict[str, int] | None = N
     chi2 = n * (sum n_xy^2 / (n_x n_y) - 1), which accounts for empty cells exactly. Degrees of freedom
     count non-empty rows and columns, or the given domain sizes.
     """
-    rows = contingency.groupBy("a", "b", "x").agg(F.sum("n").alias("nx"))
-    cols = contingency.groupBy("a", "b", "y").agg(F.sum("n").alias("ny"))
-    cells = contingency.join(rows, ["a", "b", "x"]).join(cols, ["a", "b", "y"])
+    cells = contingency.withColumn("nx", F.sum("n").over(W.partitionBy("a", "b", "x"))).withColumn("ny", F.sum("n").over(W.partitionBy("a", "b", "y")))
     prod = F.col("nx").cast("double") * F.col("ny")
     sums = cells.groupBy("a", "b").agg(
         F.sum(F.col("n").cast("double") * F.col("n") / prod).alias("s"),
         F.sum(F.col("n") / F.lit(n) * F.ln(F.col("n").cast("double") * n / prod)).alias("mi"),
-        F.countDistinct("x").alias("r"), F.countDistinct("y").alias("c"),
+        F.size(F.collect_set("x")).alias("r"), F.size(F.collect_set("y")).alias("c"),
     )
     if sizes:
         size = F.create_map(*[v for k, s in sizes.items() for v in (F.lit(k), F.lit(s))])

@@ -97,6 +97,26 @@ def dense_counts(codes: DataFrame, sizes: dict[str, int], pairs: list[tuple[str,
     )
 
 
+#: Count slots that a task of `pair_counts` may hold: 64 MB.
+MOST_SLOTS = 8_000_000
+
+
+def pair_counts(codes: DataFrame, sizes: dict[str, int], pairs: list[tuple[str, str]]) -> DataFrame:
+    """(a, b, x, y, n) of the attributes alone (as pairs (a, a)) and of `pairs`, without shuffling rows.
+
+    Tasks add dense arrays while all of them together stay within MOST_SLOTS; pairs beyond that, largest first,
+    are counted by grouping sets, whose partial sums shrink rows to cells before the shuffle.
+    """
+    room = MOST_SLOTS - sum(sizes.values())
+    dense = [(a, a) for a in codes.columns if a != "n"]
+    sparse = []
+    for a, b in sorted(pairs, key=lambda p: sizes[p[0]] * sizes[p[1]]):
+        room -= sizes[a] * sizes[b]
+        (dense if room >= 0 else sparse).append((a, b))
+    out = dense_counts(codes, sizes, dense)
+    return out.unionByName(contingencies(codes, sparse)) if sparse else out
+
+
 def predicate_stats(codes: DataFrame, predicates: dict[str, str]) -> DataFrame:
     """(stat, n): counts of arbitrary predicates over the codes, all in one scan."""
     rows = _counted(codes)

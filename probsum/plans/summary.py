@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import time
 from dataclasses import dataclass, field
+from itertools import combinations
 
 import numpy as np
 import pandas as pd
@@ -14,7 +15,7 @@ from probsum.functions.domain import Attr, codes_matching, encode
 from probsum.operators.ordering import order_axes
 from probsum.operators.pairs import pair_scores, pick_pairs
 from probsum.operators.rectangles import kd_rectangles
-from probsum.operators.stats import base_cuboid, contingencies, matrix_of, value_stats
+from probsum.operators.stats import matrix_of, pair_counts
 from probsum.plans import infer
 from probsum.plans.forest import build_model
 from probsum.plans.model import Family, Model
@@ -209,41 +210,65 @@ class Summary:
         return new
 
 
-def counts_by_attr(stats: DataFrame, sizes: dict[str, int]) -> dict[str, np.ndarray]:
-    out = {a: np.zeros(s) for a, s in sizes.items()}
-    for r in stats.collect():  # as many rows as there are values in the domains
-        if r["code"] is not None and r["code"] >= 0:
-            out[r["attr"]][r["code"]] = r["n"]
-    return out
+@dataclass
+class Counts:
+    """What the fit needs of a relation: domains, sizes, complete one-attribute counts and a table of pair counts."""
 
+    attrs: list[Attr]
+    domain: DataFrame
+    sizes: dict[str, int]
+    values: dict[str, np.ndarray]
+    table: DataFrame
+    n: int
+    seconds: float
 
-def summarise(
-    df: DataFrame, attrs: list[Attr], pairs: str | list[tuple[str, str]] = "cover", n_pairs: int = 2, per_pair: int = 100,
-    rects: str = "kd", ordering: str = "natural", exclude=(), score: str = "chi2", domain: DataFrame | None = None,
-    fit: bool = True, **solver,
-) -> Summary:
-    """Build a summary: encode, count values and pairs in one pass each over the distinct code tuples, pick pairs and rectangles, fit."""
-    spark = df.sparkSession
+    def release(self) -> None:
+        self.table.unpersist()
+
+
+def sizes_of(domain: DataFrame, attrs: list[Attr]) -> dict[str, int]:
+    """Number of codes of every attribute, from a domain table or the attributes' pinned sizes."""
+    sizes = {a.name: a.size or 0 for a in attrs}
+    for r in domain.groupBy("attr").agg({"code": "max"}).collect():  # a row an attribute
+        sizes[r[0]] = max(sizes[r[0]], r[1] + 1)
+    return sizes
+
+
+def collect_counts(df: DataFrame, attrs: list[Attr], pairs: list[tuple[str, str]] | None = None, domain: DataFrame | None = None) -> Counts:
+    """Count the attributes and `pairs` (all pairs if None) in one pass over the codes; only cells are shuffled and kept."""
     t0 = time.perf_counter()
     codes, domain = encode(df, attrs, domain)
     domain = domain.persist()
-    sizes = {a.name: a.size or 0 for a in attrs}
-    for r in domain.groupBy("attr").agg({"code": "max"}).collect():
-        sizes[r[0]] = max(sizes[r[0]], r[1] + 1)
-    cuboid = base_cuboid(codes).persist()
-    values = counts_by_attr(value_stats(cuboid), sizes)
-    n = int(next(iter(values.values())).sum())
+    sizes = sizes_of(domain, attrs)
+    names = [a.name for a in attrs]
+    table = pair_counts(codes, sizes, list(combinations(names, 2)) if pairs is None else pairs).persist()
+    values = {a: np.zeros(s) for a, s in sizes.items()}
+    for r in table.where("a = b").collect():  # as many rows as there are values in the domains
+        values[r["a"]][r["x"]] = r["n"]
+    return Counts(attrs, domain, sizes, values, table.where("a <> b"), int(next(iter(values.values())).sum()), time.perf_counter() - t0)
+
+
+def summarise(
+    df: DataFrame | Counts, attrs: list[Attr] | None = None, pairs: str | list[tuple[str, str]] = "cover", n_pairs: int = 2,
+    per_pair: int = 100, rects: str = "kd", ordering: str = "natural", exclude=(), score: str = "chi2", domain: DataFrame | None = None,
+    fit: bool = True, **solver,
+) -> Summary:
+    """Build a summary: encode, count values and pairs in one pass, pick pairs and rectangles, fit.
+
+    Counts taken before may be given in place of the relation, for several summaries of one pass.
+    """
+    named = not isinstance(pairs, str)
+    counts = df if isinstance(df, Counts) else collect_counts(df, attrs, list(pairs) if named else None if n_pairs else [], domain)
     t1 = time.perf_counter()
     chosen: list[tuple[str, str]] = []
     families = []
-    if n_pairs or not isinstance(pairs, str):
-        table = contingencies(cuboid, None if isinstance(pairs, str) else pairs).persist()
-        chosen = pick_pairs(pair_scores(table, n), n_pairs, pairs, exclude, score) if isinstance(pairs, str) else list(pairs)
+    if n_pairs or named:
+        chosen = list(pairs) if named else pick_pairs(pair_scores(counts.table, counts.n), n_pairs, pairs, exclude, score)
         for a, b in chosen:
-            families.append(choose_family(matrix_of(table, a, b, (sizes[a], sizes[b])), a, b, per_pair, rects, ordering, sizes))
-        table.unpersist()
-    cuboid.unpersist()
-    model = build_model(values, families, n)
-    t2 = time.perf_counter()
-    out = Summary(spark, domain, model, attrs, chosen, {"load": t1 - t0, "build": t2 - t1})
+            matrix = matrix_of(counts.table, a, b, (counts.sizes[a], counts.sizes[b]))
+            families.append(choose_family(matrix, a, b, per_pair, rects, ordering, counts.sizes))
+    if counts is not df:
+        counts.release()
+    model = build_model(counts.values, families, counts.n)
+    out = Summary(counts.domain.sparkSession, counts.domain, model, counts.attrs, chosen, {"load": counts.seconds, "build": time.perf_counter() - t1})
     return out.solve(**solver) if fit else out

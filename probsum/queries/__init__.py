@@ -22,4 +22,4 @@ def query(sql: str | None = None, name: str | None = None):
 
 def load() -> None:
     """Import every module that registers queries."""
-    from probsum.queries import experiments, methods, relational, streams  # noqa: F401
+    from probsum.queries import answers, experiments, methods, relational, streams  # noqa: F401

@@ -11,7 +11,7 @@ from probsum.functions.domain import Attr
 from probsum.operators import joins, ordering, pairs, rectangles, samples, stats
 from probsum.plans import costs, infer
 from probsum.plans.model import Family, Model
-from probsum.plans.summary import Summary, summarise
+from probsum.plans.summary import Summary, collect_counts, summarise
 from probsum.queries import query
 from probsum.sources import workloads as wl
 from probsum.sources.tables import SummarySource, model_option, register_udtf, scratch, table
@@ -122,10 +122,8 @@ from (select {a} as x, {b} as y, count(*) as n from {_C} group by 1, 2)) group b
 
 @query(" union all ".join(_chi2_sql(a, b) for a, b in _PAIRLIST))
 def pair_chi2(spark, d):
-    codes, _ = _coarse_codes(spark, d)
-    cuboid = stats.base_cuboid(codes).persist()
-    n = cuboid.agg(F.sum("n")).first()[0]
-    scored = pairs.pair_scores(stats.contingencies(cuboid, _PAIRLIST), n)
+    counts = collect_counts(wl.shop_coarse(spark, d), wl.coarse_attrs(), _PAIRLIST)
+    scored = pairs.pair_scores(counts.table, counts.n)
     return scored.select("a", "b", F.round("chi2", 4).alias("chi2"), "df")
 
 
@@ -133,10 +131,9 @@ def pair_chi2(spark, d):
 def pair_policies(spark, d):
     """(relation, policy, a, b): what each policy picks on the relation where they differ, the date left out."""
     attrs = [Attr("ship_month", 1, 0, 83), Attr("p_brand"), Attr("p_size"), Attr("p_type"), Attr("c_nationkey"), Attr("c_mktsegment")]
-    codes, _ = dom.encode(wl.shop_mix(spark, d), attrs)
-    cuboid = stats.base_cuboid(codes).persist()
-    n = cuboid.agg(F.sum("n")).first()[0]
-    scored = pairs.pair_scores(stats.contingencies(cuboid), n).collect()
+    counts = collect_counts(wl.shop_mix(spark, d), attrs)
+    scored = pairs.pair_scores(counts.table, counts.n).collect()
+    counts.release()
     rows = []
     for policy in ("correlation", "cover", "mi_tree"):
         given = [(r["a"], r["b"], r["mi" if policy == "mi_tree" else "chi2"]) for r in scored]
@@ -375,25 +372,21 @@ def est_join_grouped(spark, d):
 
 @query("select count(*)::double as est from supplier join customer on s_nationkey = c_nationkey join orders on o_custkey = c_custkey")
 def join_chain_keys(spark, d):
-    """Chain of three relations; the middle one carries the full pair of its two keys."""
-    cust = table(spark, d, "customer").select("c_custkey", "c_nationkey").collect() if table(spark, d, "customer").count() <= 200_000 else []
-    order = {r["c_custkey"]: i for i, r in enumerate(sorted(cust, key=lambda r: r["c_custkey"]))}
-    nation = np.array([r["c_nationkey"] for r in sorted(cust, key=lambda r: r["c_custkey"])])
-    n = len(order)
-    masks_c, masks_n = [], []
-    for k in range(25):
-        masks_c.append(nation == k)
-        row = np.zeros(25, dtype=bool)
-        row[k] = True
-        masks_n.append(row)
-    fam = Family(("cust", "nation"), {"cust": np.array(masks_c), "nation": np.array(masks_n)}, np.bincount(nation, minlength=25).astype(float))
-    middle = Model({"cust": np.ones(n), "nation": np.bincount(nation, minlength=25).astype(float)}, [fam]).solve(max_sweeps=60)
+    """Chain of three relations; the middle one carries the full pair of its two keys.
+
+    Customers of one nation share their boundaries, so a nation's customers are one group of key values: the orders
+    of a group count as the mean over its values, and Spark counts groups of customers and of orders by nation.
+    """
+    orders = table(spark, d, "orders").groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.count(F.lit(1)).alias("o"))
+    grouped = table(spark, d, "customer").join(orders, "c_custkey", "left").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n"), F.sum("o").alias("o"))
+    customers, placed = np.zeros(25), np.zeros(25)
+    for r in grouped.collect():  # a row a nation
+        customers[r["c_nationkey"]], placed[r["c_nationkey"]] = r["n"], r["o"] or 0
+    fam = Family(("group", "nation"), {"group": np.eye(25, dtype=bool), "nation": np.eye(25, dtype=bool)}, customers)
+    middle = Model({"group": customers, "nation": customers}, [fam]).solve(max_sweeps=60)
     _, supplier, _ = _nation_models(spark, d)
-    o = np.zeros(n)
-    for r in table(spark, d, "orders").groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")).collect():
-        if r["o_custkey"] in order:
-            o[order[r["o_custkey"]]] = r["n"]
-    est = joins.estimate_join([Model({"nation": supplier}).solve(), middle, Model({"cust": o}).solve()], [["nation"], ["cust"]])
+    mean = np.divide(placed, customers, out=np.zeros(25), where=customers > 0)
+    est = joins.estimate_join([Model({"nation": supplier}).solve(), middle, Model({"group": mean}).solve()], [["nation"], ["group"]])
     return spark.createDataFrame([(round(est, 3),)], "est double")
 
 

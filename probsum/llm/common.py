@@ -57,7 +57,7 @@ def forget(df: DataFrame) -> None:
 def _pack(text: str | None) -> bytes | None:
     import zstandard
 
-    return None if text is None else zstandard.ZstdCompressor(level=1).compress(text.encode("utf-8", "surrogatepass"))
+    return None if text is None else zstandard.ZstdCompressor(level=3).compress(text.encode("utf-8", "surrogatepass"))
 
 
 def unpacked(z: bytes) -> str:

@@ -54,6 +54,30 @@ def forget(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def give_back() -> None:
+    """Hand memory that a batch needed back to the system: workers are kept, and others run beside them."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # where the C library has it
+    if trim:
+        trim(0)
+
+
+def settled(run: Callable) -> Callable:
+    """`run` over batches, giving memory back at the end."""
+
+    def whole(batches):
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return whole
+
+
 def _pack(text: str | None) -> bytes | None:
     import zstandard
 
@@ -68,7 +92,13 @@ def unpacked(z: bytes) -> str:
 
 def packed(text: str | Column) -> Column:
     """The texts compressed, for shuffles: some two fifths of what Spark's own compression of rows leaves."""
-    return F.pandas_udf(lambda t: pd.Series([_pack(x) for x in t], dtype=object), "binary")(text)
+
+    def run(t: pd.Series) -> pd.Series:
+        out = pd.Series([_pack(x) for x in t], dtype=object)
+        give_back()
+        return out
+
+    return F.pandas_udf(run, "binary")(text)
 
 
 _ARROW = {"long": "int64", "int": "int32", "string": "string"}
@@ -119,7 +149,7 @@ def answered(docs: DataFrame, id_col: str, text_col: str, asks: DataFrame, answe
         if out:
             yield frame(out)
 
-    return rows.repartition("id").sortWithinPartitions("id", F.col("z").isNotNull()).mapInArrow(run, schema)
+    return rows.repartition("id").sortWithinPartitions("id", F.col("z").isNotNull()).mapInArrow(settled(run), schema)
 
 
 def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, change: Callable, pack: bool = False) -> DataFrame:
@@ -138,6 +168,7 @@ def with_text(docs: DataFrame, id_col: str, text_col: str, cuts: DataFrame, chan
         at = [i for i, (x, given) in enumerate(zip(out, held[0], strict=True)) if x is not None and given is not None]
         for i, x in zip(at, change([out[i] for i in at], *[[h.iloc[i] for i in at] for h in held]), strict=True):
             out[i] = x
+        give_back()
         return pd.Series(out, dtype=object)
 
     text = F.col(f"row.`{text_col}`")
@@ -228,7 +259,7 @@ def components(
                 nodes, low = joined_nodes(*(np.concatenate(x) for x in zip(*got, strict=True)))
                 yield pd.DataFrame({"node": nodes, "component": low})
 
-        return e.repartition(1).mapInPandas(join_up, "node long, component long")
+        return e.repartition(1).mapInPandas(settled(join_up), "node long, component long")
     for _ in range(max_rounds):
         both = e.select(F.col("a").alias("u"), F.col("b").alias("v")).union(
             e.select(F.col("b").alias("u"), F.col("a").alias("v"))

@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probsum.llm.common import written
+from probsum.llm.common import settled, written
 
 BYTES = 8
 
@@ -175,7 +175,7 @@ def links(fps: DataFrame, col: str, max_bits: int = 4, tile: int = 2048, masks:
         yield from (_rows(a.view(np.int64), b.view(np.int64), False) for a, b in _run_links(k, v.view(np.uint64), max_bits) if len(a))
 
     first = written(
-        post.repartition("k").sortWithinPartitions("k").mapInPandas(pair_up, "a long, b long, over boolean"), "postings"
+        post.repartition("k").sortWithinPartitions("k").mapInPandas(settled(pair_up), "a long, b long, over boolean"), "postings"
     )
     close = first.where("not over").select("a", "b")
     large = first.where("over").select(F.col("a").alias("k"), F.col("b").alias("fp"))
@@ -200,7 +200,7 @@ def links(fps: DataFrame, col: str, max_bits: int = 4, tile: int = 2048, masks:
             if len(k) > 1:
                 yield from (_rows(a.view(np.int64), b.view(np.int64)) for a, b in _run_links(k, v, max_bits) if len(a))
 
-    within = tiled.repartition("k").sortWithinPartitions("k").mapInPandas(tile_links, "a long, b long")
+    within = tiled.repartition("k").sortWithinPartitions("k").mapInPandas(settled(tile_links), "a long, b long")
     return close.union(within)
 
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from probsum.llm import hamming, line_dedup
 from probsum.llm.words import mixed
-from probsum.llm.common import answered, components, forget, joined_hot, packed, unpacked, written
+from probsum.llm.common import answered, components, forget, give_back, joined_hot, packed, settled, unpacked, written
 
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
 
@@ -72,7 +72,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pd.DataFrame({"id": pdf["id"], "fp": fp.view(np.int64)})
 
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInPandas(
-        run, "id long, fp long"
+        settled(run), "id long, fp long"
     )
 
 
@@ -157,7 +157,7 @@ def shingle_sketches(docs: DataFrame, id_col: str, text_col: str, words: int, ba
     return (
         docs.where(F.col(id_col).isNotNull())
         .select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-        .mapInPandas(run, "id long, h long, sim long, fine long" + "".join(f", {c} long" for c in halves))
+        .mapInPandas(settled(run), "id long, h long, sim long, fine long" + "".join(f", {c} long" for c in halves))
     )
 
 
@@ -223,6 +223,7 @@ def _left(docs: DataFrame, id_col: str, text_col: str, gone: DataFrame, name) ->
         for x, h in zip(z, names, strict=True):
             text = None if x is None else unpacked(x)
             out.append((text, h is None or name(text) not in np.asarray(h).tolist()))
+        give_back()
         return pd.DataFrame(out, columns=["text", "stays"])
 
     back = F.pandas_udf(back, "text string, stays boolean")

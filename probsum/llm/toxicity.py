@@ -16,6 +16,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from probsum.llm.common import give_back
+
 _SENTENCE = re.compile(r"[^.!?\n]+")
 _WORD = re.compile(r"[^\W_]+")
 
@@ -185,5 +187,10 @@ def offending(
 
 def without_toxic(docs: DataFrame, model: SentenceModel, text_col: str = "text", least: float = 0.5) -> DataFrame:
     """The rows of `docs` that score below `least`, with all their columns."""
-    score = F.pandas_udf(lambda s: s.map(lambda t: model.score(t)[0]).astype("float64"), "double")
+    def run(texts: pd.Series) -> pd.Series:
+        out = texts.map(lambda t: model.score(t)[0]).astype("float64")
+        give_back()
+        return out
+
+    score = F.pandas_udf(run, "double")
     return docs.where(score(F.col(text_col)) < least)

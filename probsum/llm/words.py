@@ -21,11 +21,11 @@ def powers(n: int, base: int) -> np.ndarray:
 
 @functools.cache
 def _kept_powers(base: int) -> np.ndarray:
-    return powers(1 << 20, base)
+    return powers(1 << 18, base)
 
 
 def _powers(n: int, base: int) -> np.ndarray:
-    return _kept_powers(base)[:n] if n <= 1 << 20 else powers(n, base)
+    return _kept_powers(base)[:n] if n <= 1 << 18 else powers(n, base)
 
 
 @functools.cache

@@ -3,6 +3,7 @@
 import hashlib
 import random
 
+import duckdb
 import numpy as np
 import pandas as pd
 import pytest
@@ -507,6 +508,39 @@ def test_licenses(spark, odd, none):
     assert licenses.scanned(odd).count() == 0 and licenses.scanned(none).count() == 0
 
 
+def test_licenses_spread_over_lines(spark):
+    """Licences in paragraphs, comments and longer lines are found; the rows are those of the SQL."""
+    mit, bsd, isc = licenses.TEMPLATES["MIT"][2], licenses.TEMPLATES["BSD"][1], licenses.TEMPLATES["ISC"][1]
+    rnd = random.Random(23)
+    other = [" ".join(words(rnd, 40)) for _ in range(12)]
+    cut = mit.index("The above"), mit.index("THE SOFTWARE")
+    paragraphs = "\n\n".join([mit[: cut[0]], mit[cut[0] : cut[1]], mit[cut[1] :]])
+    wrapped = mit.split()
+    comment = "\n".join(" * " + " ".join(wrapped[i : i + 11]) for i in range(0, len(wrapped), 11))
+    clauses = bsd.replace(" 1. ", "\n\n1. ").replace(" 2. ", "\n2. ").replace(" THIS ", "\n\nTHIS ")
+    texts = [
+        "\n".join(["MIT License\n", paragraphs, "", *other]),
+        "\n".join(["/*", comment, " */", *other[:3], comment]),
+        "\n".join([*other, clauses, other[0]]),
+        " ".join([other[0], isc, other[1]]),
+        " ".join(wrapped[: len(wrapped) // 2]) + "\n" + other[0],
+        "\n".join(other),
+        " ".join(x for x in wrapped[3:] if rnd.random() > 0.03) + " " + other[4],
+        None,
+        "",
+    ]
+    docs = spark.createDataFrame([*enumerate(texts), (0, texts[1])], "doc_id long, text string")
+    got = licenses.scanned(docs).withColumnRenamed("id", "doc_id").toPandas().sort_values(["doc_id", "license"])
+    assert {*zip(got["doc_id"], got["license"])} == {(0, "MIT"), (1, "MIT"), (2, "BSD"), (3, "ISC"), (6, "MIT")}
+    base = duckdb.connect()
+    base.register("given", docs.toPandas())
+    base.execute("create view documents as select doc_id::bigint as doc_id, text::varchar as text from given")
+    want = base.execute(licenses.oracle()).df().sort_values(["doc_id", "license"])
+    pd.testing.assert_frame_equal(got.reset_index(drop=True), want[got.columns].reset_index(drop=True), check_dtype=False)
+    only = licenses.scanned(docs, window_from=10**6)
+    assert {r["id"] for r in only.collect()} < set(got["doc_id"])
+
+
 def test_site_quality(spark, odd, none):
     """Sparse sites stay near the global rate, full ones move; held-out labels are not evidence."""
     rnd = random.Random(11)

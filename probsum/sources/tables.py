@@ -11,7 +11,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A path for files of our own in the folder the cluster shares; a temporary one only where none is named."""
+    """A path for files of our own in the shared folder the cluster names; where none is, temporary in local mode and an error elsewhere."""
     import tempfile
     import uuid
 
@@ -20,6 +20,8 @@ def scratch(spark: SparkSession, label: str) -> str:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = found.get() if found.isDefined() else None
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         root = tempfile.mkdtemp(prefix="probsum-")
         spark.sparkContext.setCheckpointDir(root)
     return f"{root}/probsum/{label}-{uuid.uuid4().hex}"

@@ -9,25 +9,30 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probsum.functions.domain import Attr, encode
+from probsum.functions.domain import Attr, drop_nulls, encode, equi_width
 from probsum.operators import rectangles, samples, stats
 from probsum.operators.ordering import order_axes
 from probsum.plans import infer
 from probsum.plans.model import EvalOptions, Model
-from probsum.plans.summary import Summary, choose_family, collect_counts, summarise
+from probsum.plans.summary import Counts, Summary, choose_family, collect_counts, summarise
 from probsum.plans.terms import evaluate_distributed, factor_frame, term_frame
 from probsum.queries import query
 from probsum.sources import workloads as wl
+from probsum.sources.tables import stored
 
 ROWS = "method string, template string, kind string, truth double, est double"
 
 
-def fit_summaries(rel: DataFrame, attrs: list[Attr], total: int, which=wl.SUMMARIES, sweeps: int = 30, ordering: str = "natural", pairs=wl.PAIRS) -> dict[str, Summary]:
-    """One summary per pair choice, the total budget of two-dimensional statistics shared by its pairs."""
+def fit_summaries(rel, attrs: list[Attr], total: int, which=wl.SUMMARIES, sweeps: int = 30, ordering: str = "natural", pairs=wl.PAIRS) -> dict[str, Summary]:
+    """One summary per pair choice, the total budget of two-dimensional statistics shared by its pairs; `rel` is counted once, or its Counts."""
+    used = sorted({i for ids in which.values() for i in ids})
+    counts = rel if isinstance(rel, Counts) else collect_counts(rel, attrs, [pairs[i] for i in used])
     out = {}
     for name, ids in which.items():
         chosen = [pairs[i] for i in ids]
-        out[name] = summarise(rel, attrs, chosen, per_pair=total // max(len(chosen), 1), ordering=ordering, max_sweeps=sweeps)
+        out[name] = summarise(counts, pairs=chosen, per_pair=total // max(len(chosen), 1), ordering=ordering, max_sweeps=sweeps)
+    if counts is not rel:
+        counts.release()
     return out
 
 
@@ -38,28 +43,27 @@ def hitter_rows(codes: DataFrame, sizes: dict[str, int], template, heavy=100, li
 
 
 def score(codes: DataFrame, sizes: dict[str, int], summaries: dict[str, Summary], sampled: dict[str, DataFrame], templates) -> list[tuple]:
-    """(method, template, kind, truth, est) of hitters under every summary and sample (frames of codes with a weight)."""
+    """(method, template, kind, truth, est) of hitters under every summary and sample (frames of codes with a weight).
+
+    The groups of all templates are counted in one pass over the codes, and one over each sample.
+    """
+    truth = stats.dense_groups(codes, sizes, list(templates))
+    found = {t: wl.hitters_of(truth[t], t) for t in templates}
     out = []
     for t in templates:
-        name = ",".join(t)
-        found = hitter_rows(codes, sizes, t)
         for method, s in summaries.items():
             est = infer.estimate_groups(s.model, list(t))
-            out += [(method, name, kind, float(n), float(est[point])) for kind, point, n in found]
-        keys = codes.sparkSession.createDataFrame([(*point,) for _, point, _ in found], ", ".join(f"{a} int" for a in t)).distinct()
-        for method, sample in sampled.items():
-            got = {
-                tuple(r[a] for a in t): r["est"]
-                for r in samples.sample_groups(sample, list(t)).join(F.broadcast(keys), list(t)).collect()
-            }
-            out += [(method, name, kind, float(n), float(got.get(point, 0.0))) for kind, point, n in found]
+            out += [(method, ",".join(t), kind, float(n), float(est[point])) for kind, point, n in found[t]]
+    for method, sample in sampled.items():
+        got = stats.dense_groups(sample, sizes, list(templates), "weight")
+        for t in templates:
+            out += [(method, ",".join(t), kind, float(n), float(got[t][point])) for kind, point, n in found[t]]
     return out
 
 
-def coded_samples(spark, d, codes_of, rate: float, strata: dict[str, list[str]]) -> dict[str, DataFrame]:
-    """The uniform sample and one stratified sample per pair, under the summaries' codes."""
+def coded_samples(rel: DataFrame, codes_of, rate: float, strata: dict[str, list[str]]) -> dict[str, DataFrame]:
+    """The uniform sample and one stratified sample per pair, under the summaries' codes; `rel` holds the keys of lineitem."""
     keys = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
-    rel = wl.shop_coarse(spark, d, keys=True)
     out = {"uniform": codes_of(samples.uniform_sample(rel, rate, keys))}
     for name, cols in strata.items():
         out[f"stratified {name}"] = codes_of(samples.stratified_sample(rel, cols, rate, keys))
@@ -68,9 +72,10 @@ def coded_samples(spark, d, codes_of, rate: float, strata: dict[str, list[str]])
 
 def _with_codes(domain: DataFrame, attrs: list[Attr]):
     def run(df: DataFrame) -> DataFrame:
-        out = df
+        out = drop_nulls(df, [a.name for a in attrs])
         for a in attrs:
             if a.arithmetic:
+                out = out.withColumn(a.name, equi_width(a.name, a.width, a.lo, a.size))
                 continue
             book = domain.where(F.col("attr") == a.name).select(F.col("label").alias("_l"), F.col("code").alias("_c"))
             out = out.join(F.broadcast(book), F.col(a.name).cast("string") == F.col("_l")).withColumn(a.name, F.col("_c")).drop("_l", "_c")
@@ -81,15 +86,15 @@ def _with_codes(domain: DataFrame, attrs: list[Attr]):
 
 def coarse_accuracy(spark, d, templates, total: int = 300, rate: float = 0.01, which=wl.SUMMARIES, with_samples: bool = True) -> pd.DataFrame:
     attrs = wl.coarse_attrs()
-    rel = wl.shop_coarse(spark, d)
-    codes, domain = encode(rel, attrs)
-    codes, domain = codes.persist(), domain.persist()
-    summaries = fit_summaries(rel, attrs, total, which)
-    sizes = next(iter(summaries.values())).model.sizes
+    rel = stored(wl.shop_coarse(spark, d, keys=with_samples), "shop-coarse")
+    counts = collect_counts(rel, attrs, [wl.PAIRS[i] for i in sorted({i for ids in which.values() for i in ids})])
+    summaries = fit_summaries(counts, attrs, total, which)
     strata = {str(i): list(p) for i, p in wl.PAIRS.items()} if with_samples else {}
-    sampled = coded_samples(spark, d, _with_codes(domain, attrs), rate, strata) if with_samples else {}
-    rows = score(codes, sizes, summaries, sampled, templates)
-    codes.unpersist()
+    codes_of = _with_codes(counts.domain, attrs)
+    sampled = coded_samples(rel, codes_of, rate, strata) if with_samples else {}
+    rows = score(codes_of(rel), counts.sizes, summaries, sampled, templates)
+    counts.release()
+    counts.domain.unpersist()
     return pd.DataFrame(rows, columns=[c.split()[0] for c in ROWS.split(", ")])
 
 
@@ -136,14 +141,13 @@ def accuracy_fifteen(spark, d):
 @query()
 def accuracy_fine(spark, d):
     """The fine relation: error and F of none, brand with type, and net with gross."""
-    attrs, rel = wl.fine_attrs(), wl.shop_fine(spark, d)
-    codes, _ = encode(rel, attrs)
-    codes = codes.persist()
+    attrs, rel = wl.fine_attrs(), stored(wl.shop_fine(spark, d), "shop-fine")
     pairs = {3: ("net", "gross"), 4: ("brand_name", "size_type")}
-    summaries = fit_summaries(rel, attrs, 300, {"none": [], "3": [3], "4": [4], "3&4": [3, 4]}, pairs=pairs)
-    sizes = summaries["none"].model.sizes
-    rows = score(codes, sizes, summaries, {}, [("brand_name", "size_type"), ("net", "gross"), ("brand_name", "net")])
-    codes.unpersist()
+    counts = collect_counts(rel, attrs, list(pairs.values()))
+    summaries = fit_summaries(counts, attrs, 300, {"none": [], "3": [3], "4": [4], "3&4": [3, 4]}, pairs=pairs)
+    rows = score(_with_codes(counts.domain, attrs)(rel), counts.sizes, summaries, {}, [("brand_name", "size_type"), ("net", "gross"), ("brand_name", "net")])
+    counts.release()
+    counts.domain.unpersist()
     return spark.createDataFrame(accuracy_table(pd.DataFrame(rows, columns=["method", "template", "kind", "truth", "est"])), _TABLE)
 
 

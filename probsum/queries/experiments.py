@@ -244,10 +244,13 @@ def ordering_effect(spark, d):
 
 @query()
 def ordering_trials(spark, d):
-    """(ordering, leaves, mean, std): K-D error of ten shuffles of a 12 x 12 block matrix."""
+    """(ordering, leaves, mean, std): K-D error of ten shuffles of (net, gross) folded to 12 x 12."""
+    attrs = [Attr("net", 62 / 12, 0, 12), Attr("gross", 81 / 12, 0, 12)]
+    counts = collect_counts(wl.shop_coarse(spark, d), attrs)
+    matrix = stats.matrix_of(counts.table, "net", "gross", (12, 12))
     parts = []
     for kind in ("natural", "zero_index", "weighted_index"):
-        t = rectangles.kd_error_trials(wl.block_matrix(), range(6, 31, 3), kind)
+        t = rectangles.kd_error_trials(matrix, range(6, 31, 3), kind)
         parts.append(t.assign(ordering=kind))
     return spark.createDataFrame(pd.concat(parts), "leaves int, mean double, std double, ordering string")
 

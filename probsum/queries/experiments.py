@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pandas as pd
@@ -54,8 +55,7 @@ def score(codes: DataFrame, sizes: dict[str, int], summaries: dict[str, Summary]
         for method, s in summaries.items():
             est = infer.estimate_groups(s.model, list(t))
             out += [(method, ",".join(t), kind, float(n), float(est[point])) for kind, point, n in found[t]]
-    for method, sample in sampled.items():
-        got = stats.dense_groups(sample, sizes, list(templates), "weight")
+    for method, got in side_by_side(lambda sample: stats.dense_groups(sample, sizes, list(templates), "weight"), sampled).items():
         for t in templates:
             out += [(method, ",".join(t), kind, float(n), float(got[t][point])) for kind, point, n in found[t]]
     return out
@@ -65,9 +65,14 @@ def coded_samples(rel: DataFrame, codes_of, rate: float, strata: dict[str, list[
     """The uniform sample and one stratified sample per pair, under the summaries' codes; `rel` holds the keys of lineitem."""
     keys = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
     out = {"uniform": codes_of(samples.uniform_sample(rel, rate, keys))}
-    for name, cols in strata.items():
-        out[f"stratified {name}"] = codes_of(samples.stratified_sample(rel, cols, rate, keys))
-    return out
+    made = side_by_side(lambda cols: codes_of(samples.stratified_sample(rel, cols, rate, keys)), strata)
+    return out | {f"stratified {name}": sample for name, sample in made.items()}
+
+
+def side_by_side(run, given: dict, most: int = 4) -> dict:
+    """{name: run(value)}, some at a time: the Spark jobs of one fill the cores that another leaves."""
+    with ThreadPoolExecutor(most) as pool:
+        return dict(zip(given, pool.map(run, given.values()), strict=True))
 
 
 def _with_codes(domain: DataFrame, attrs: list[Attr]):

@@ -39,3 +39,21 @@ def test_one_pass_of_counts_for_all_summaries(spark, sf, monkeypatch):
     assert experiments.accuracy_fine(spark, sf).count() == 12
     assert len(made) == 1
     assert not made[0].cached.storageLevel.useMemory and not made[0].domain.storageLevel.useMemory  # nothing stays on the driver
+
+
+def test_stratified_sample_sorts_only_the_first_parts(spark, sf, monkeypatch):
+    """The rows kept are the first of every stratum by key hash; those that are ranked are few of all."""
+    keys = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
+    rel, strata, rate = wl.shop_coarse(spark, sf, keys=True), ["net", "gross"], 0.02
+    pdf = rel.toPandas()
+    h = sum(pdf[k] * p for k, p in zip(keys, (7919, 104729, 1299709, 15485863))) % samples.MODULUS
+    pdf = pdf.assign(h=h).sort_values(["h", *keys])
+    sizes = pdf.groupby(strata).size()
+    cap = samples.stratum_cap(sizes.tolist(), int(len(pdf) * rate))
+    want = {tuple(r) for r in pdf.groupby(strata).head(cap)[keys].itertuples(index=False)}
+    ranked = []
+    real = samples.F.row_number
+    monkeypatch.setattr(samples.F, "row_number", lambda: ranked.append(1) or real())
+    got = samples.stratified_sample(rel, strata, rate, keys)
+    assert {tuple(r[k] for k in keys) for r in got.collect()} == want
+    assert ranked and "_last" in got._jdf.queryExecution().optimizedPlan().toString()

@@ -57,3 +57,22 @@ def test_stratified_sample_sorts_only_the_first_parts(spark, sf, monkeypatch):
     got = samples.stratified_sample(rel, strata, rate, keys)
     assert {tuple(r[k] for k in keys) for r in got.collect()} == want
     assert ranked and "_last" in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_groups_come_to_the_driver_as_arrays(spark, monkeypatch):
+    """No row a group reaches the driver: toPandas() and collect() are not used on them."""
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    codes = spark.range(60_000).select((F.col("id") % 300).cast("int").alias("x"), (F.col("id") % 500).cast("int").alias("y"), F.lit(0.5).alias("w"))
+    want = {}
+    for i in range(60_000):
+        want[i % 300, i % 500] = want.get((i % 300, i % 500), 0) + 1
+
+    def refused(*_):
+        raise AssertionError("rows of groups on the driver")
+
+    monkeypatch.setattr(DataFrame, "toPandas", refused)
+    monkeypatch.setattr(DataFrame, "collect", refused)
+    n = stats.dense_groups(codes, {"x": 300, "y": 500}, [("x", "y")])["x", "y"]
+    w = stats.dense_groups(codes, {"x": 300, "y": 500}, [("x", "y")], "w")["x", "y"]
+    assert n.sum() == 60_000 and all(n[p] == v and w[p] == v / 2 for p, v in want.items())
